@@ -1,0 +1,39 @@
+import pytest
+from comparing import same
+
+from spurline.llm.oracles import ORACLES
+from spurline.llm.queries import QUERIES
+
+
+@pytest.mark.parametrize("name", ORACLES)
+def test_sql(spark, sf, name):
+    assert same(QUERIES[name](spark, sf), ORACLES[name], sf)
+
+
+def test_native_plan(spark, sf):
+    plan = QUERIES["op9_licenses"](spark, sf)._jdf.queryExecution().toString()
+    assert "Python" not in plan and "Arrow" not in plan and "Exchange" not in plan
+
+
+def test_pipeline(spark, sf):
+    """Each stage against its operator's own verdicts on its own input."""
+    import corpus_pipeline as c
+
+    from spurline.llm import near_dup, quality_fm, quality_rules, secret_scan
+    from spurline.runtime import materialise, table
+
+    docs = table(spark, sf, "documents")
+    columns, seen = docs.columns, [docs]
+    for name, stage in c.STAGES:
+        docs = materialise(stage(spark, docs, sf), "test")
+        seen.append(docs)
+        assert name == c.STAGES[-1][0] or docs.columns == columns
+    ids = [{r.doc_id for r in d.select("doc_id").distinct().collect()} for d in seen]
+    model = quality_fm.train(seen[0], table(spark, sf, "labels"))
+    assert ids[1] == {r.doc_id for r in quality_fm.score_documents(seen[0], model).where("score >= 0.3").collect()}
+    judged = {r.doc_id: r for r in quality_rules.judge_documents(seen[1]).collect()}
+    assert {r.doc_id: r.text for r in seen[2].collect()} == {i: r.cleaned for i, r in judged.items() if r.kept}
+    assert ids[3] == {r.component_id for r in near_dup.near_duplicates(seen[2]).collect()}
+    assert ids[4] == ids[3] == ids[5] and not secret_scan.scan_documents(seen[4]).where("is_secret").count()
+    good = {r.doc_id for r in table(spark, sf, "labels").where("quality = 1").collect()}
+    assert len(good & ids[1]) > 0.97 * len(good)
