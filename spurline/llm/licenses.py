@@ -2,11 +2,15 @@
 
 All of it is DataFrame functions. Units of a text are its lines, its paragraphs and the whole; equal bags of bigrams have
 Dice 1. Two bags with sizes a and b can reach t only if t / (2 - t) <= a / b <= (2 - t) / t, so most units drop out by their
-number of words, and most of the rest since no bigram of theirs is in any template that fits by size.
+number of words. A unit that can reach t shares at least t / (2 - t) of a template's bigrams, so it holds one of a few telling words;
+texts and units without any of them need no splitting at all.
 """
 
 from __future__ import annotations
 
+import json
+import math
+import re
 from collections import Counter
 
 from pyspark.sql import DataFrame
@@ -29,8 +33,6 @@ NOT_WORD = r"[^\p{L}\p{N}\n]+"
 
 
 def template_bigrams(templates: dict[str, str] = TEMPLATES) -> dict[str, Counter]:
-    import re
-
     out = {}
     for name, text in templates.items():
         words = re.sub(r"[^0-9a-z]+", " ", text.lower()).split()
@@ -40,8 +42,30 @@ def template_bigrams(templates: dict[str, str] = TEMPLATES) -> dict[str, Counter
     return out
 
 
-def _equals(gram: F.Column):
-    return lambda other: other == gram
+def telling_words(bags: dict[str, Counter], low: float) -> list[str]:
+    """Words of which every unit that can reach the threshold holds one.
+
+    Such a unit shares at least ``low`` of a template's bigrams. So if words are picked until the bigrams that they touch
+    are more than the rest, a unit without any of them shares too few. Longer words are picked first where they suffice.
+    """
+    out: set[str] = set()
+    for bag in bags.values():
+        rest, spare = Counter(bag), sum(bag.values()) - math.ceil(low * sum(bag.values()) - 1e-9)
+        while rest and sum(bag.values()) - sum(rest.values()) <= spare:
+            touched: Counter = Counter()
+            for gram, k in rest.items():
+                for w in set(gram.split()):
+                    touched[w] += k
+            pick = max(touched, key=lambda w: (w in out, len(w) >= 6, touched[w], len(w), w))
+            out.add(pick)
+            rest = Counter({g: k for g, k in rest.items() if pick not in g.split()})
+    return sorted(out)
+
+
+def _held(df: DataFrame, name: str, value: F.Column) -> DataFrame:
+    """``df`` with a column that is worked out once for each row: Catalyst copies a plain expression into every predicate that
+    uses it, but a generator's output stays as it is."""
+    return df.withColumn(name, F.explode(F.array(value)))
 
 
 def scan_licenses(docs: DataFrame, templates: dict[str, str] = TEMPLATES, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -51,30 +75,29 @@ def scan_licenses(docs: DataFrame, templates: dict[str, str] = TEMPLATES, thresh
     several paragraphs). Normalising lower-cases and turns everything but letters and digits into single spaces. Null and empty
     texts have no units; null ids and repeated rows stay. Nothing is shuffled. ``templates`` need ASCII letters.
     """
-    grams = template_bigrams(templates)
+    bags = template_bigrams(templates)
     low, high = threshold / (2 - threshold), (2 - threshold) / threshold
-    sizes = [sum(c.values()) for c in grams.values()]
-    fits = F.lit(False)
-    for n in sorted(set(sizes)):
+    fits, told = F.lit(False), F.lit(False)
+    for n in sorted({sum(c.values()) for c in bags.values()}):
         fits = fits | F.col("n").between(F.lit(low * n - 1e-9), F.lit(high * n + 1e-9))
-    plain = F.regexp_replace(F.lower(F.col(text_col).cast("string")), NOT_WORD, " ")
-    line = F.split(plain, "\n")
-    split = F.split(F.regexp_replace(plain, r"\n(?: ?\n)+", "\u0001"), "\u0001")
-    unit = lambda kind, xs: F.transform(xs, lambda x, i: F.struct(F.lit(kind).alias("unit"), i.cast("int").alias("unit_no"), F.trim(F.regexp_replace(x, "\n", " ")).alias("t")))
-    several = F.filter(unit("paragraph", F.transform(split, lambda x: F.when(F.instr(x, "\n") > 0, x).otherwise(F.lit("")))), lambda u: u["t"] != "")
-    whole = F.when(F.size(split) > 1, unit("document", F.array(plain))).otherwise(F.slice(unit("document", F.array(plain)), 1, 0))
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.explode(F.concat(unit("line", line), several, whole)).alias("u")).where(F.col("u.t") != "")
-    rows = rows.select("doc_id", "u.unit", "u.unit_no", F.regexp_replace("u.t", " +", " ").alias("t"))
-    rows = rows.withColumn("n", F.length("t") - F.length(F.translate("t", " ", ""))).where(fits)  # as many bigrams as spaces
-    words = F.split("t", " ")
-    bigrams = F.zip_with(F.slice(words, F.lit(1), F.col("n").cast("int")), F.slice(words, F.lit(2), F.col("n").cast("int")), lambda a, b: F.concat(a, F.lit(" "), b))
-    every = F.array(*[F.lit(g) for g in sorted(set().union(*grams.values()))])
-    rows = rows.where("n > 0").withColumn("b", bigrams).where(F.arrays_overlap("b", every))
-    scores = []
-    for name, bag in sorted(grams.items()):
-        size = sum(bag.values())
-        shared = F.aggregate(F.array(*[F.struct(F.lit(g).alias("g"), F.lit(k).alias("k")) for g, k in sorted(bag.items())]), F.lit(0), lambda s, x: s + F.least(x["k"], F.size(F.filter(F.col("b"), _equals(x["g"])))))
-        near = F.col("n").between(F.lit(low * size - 1e-9), F.lit(high * size + 1e-9))
-        scores.append(F.when(near, F.struct((2.0 * shared / (F.col("n") + size)).alias("dice"), F.lit(name).alias("license"))))
-    best = F.array_sort(F.filter(F.array(*scores), lambda x: x["dice"] >= threshold - 1e-12), lambda x, y: F.when(x["dice"] > y["dice"], -1).when(x["dice"] < y["dice"], 1).when(x["license"] < y["license"], -1).otherwise(1))
-    return rows.select("doc_id", "unit", "unit_no", F.get(best, F.lit(0)).alias("m")).where("m is not null").select("doc_id", "unit", "unit_no", "m.license", F.round("m.dice", 6).alias("dice"))
+    for w in telling_words(bags, low):
+        told = told | F.contains(F.col("t"), F.lit(f" {w} "))
+    clean = F.regexp_replace(F.regexp_replace(F.lower(F.col(text_col).cast("string")), NOT_WORD, " "), "\n", " \n ")
+    plain = _held(docs.select(F.col(id_col).cast("long").alias("doc_id"), clean.alias("clean")), "t", F.concat(F.lit(" "), F.col("clean"), F.lit(" ")))
+    plain = plain.where(told).select("doc_id", "t")
+    split = F.split(F.regexp_replace("t", r"\n *(?:\n *)+", "\u0001"), "\u0001")
+    unit = lambda kind, xs: F.transform(xs, lambda x, i: F.struct(F.lit(kind).alias("unit"), i.cast("int").alias("unit_no"), x.alias("t")))
+    several = F.filter(unit("paragraph", split), lambda u: F.contains(u["t"], F.lit("\n")))
+    whole = F.when(F.size(split) > 1, unit("document", F.array("t"))).otherwise(F.slice(unit("document", F.array("t")), 1, 0))
+    rows = plain.select("doc_id", F.explode(F.concat(unit("line", F.split("t", "\n")), several, whole)).alias("u"))
+    spaced = F.concat(F.lit(" "), F.trim(F.regexp_replace("u.t", r"[ \n]+", " ")), F.lit(" "))
+    rows = _held(rows.select("doc_id", "u"), "t", spaced).select("doc_id", "u.unit", "u.unit_no", "t").where(told)
+    size = F.length("t") - F.length(F.translate("t", " ", "")) - 2  # as many bigrams as spaces between words
+    rows = _held(rows, "n", size).where(fits & (F.col("n") > 0)).withColumn("t", F.trim("t"))
+    shapes = [{"license": k, "m": sum(c.values()), "grams": [{"g": g, "k": n} for g, n in sorted(c.items())]} for k, c in sorted(bags.items())]
+    known = F.from_json(F.lit(json.dumps(shapes)), "array<struct<license:string,m:int,grams:array<struct<g:string,k:int>>>>")
+    rows = rows.select("doc_id", "unit", "unit_no", "n", F.split("t", " ").alias("w"), known.alias("known"))
+    best = F.expr(f"""array_min(filter(transform(filter(known, x -> n between {low!r}D * x.m - 1e-9D and {high!r}D * x.m + 1e-9D),
+        x -> struct(-2D * aggregate(x.grams, 0, (s, y) -> s + least(y.k, size(filter(zip_with(slice(w, 1, n), slice(w, 2, n), (a, b) -> concat(a, ' ', b)), z -> z = y.g)))) / (n + x.m) as dice, x.license as license)),
+        x -> -x.dice >= {threshold!r}D - 1e-12D))""")
+    return rows.select("doc_id", "unit", "unit_no", best.alias("m")).where("m is not null").select("doc_id", "unit", "unit_no", "m.license", F.round(-F.col("m.dice"), 6).alias("dice"))
