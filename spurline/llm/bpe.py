@@ -9,7 +9,9 @@ pre-tokens of many thousands of bytes take time in proportion to their length.
 from __future__ import annotations
 
 import base64
+import sys
 import uuid
+from array import array
 from heapq import heappop, heappush
 
 import numpy as np
@@ -21,6 +23,7 @@ from spurline.llm.packing import _AWKWARD
 
 #: Pre-tokens, and space-separated chunks, whose ids a worker remembers at most.
 REMEMBER = 500_000
+_NONE = 1 << 40
 _WORKER: dict = {}
 
 
@@ -33,35 +36,54 @@ class RankQueue:
         self.buckets: dict[int, list[int]] = {}
 
     def push(self, rank: int, position: int) -> None:
-        if bucket := self.buckets.get(rank):
-            heappush(bucket, position)
+        buckets = self.buckets
+        if rank in buckets:  # one position stands alone, several are a heap
+            bucket = buckets[rank]
+            if bucket.__class__ is int:
+                buckets[rank] = [bucket, position] if bucket < position else [position, bucket]
+            else:
+                heappush(bucket, position)
             return
-        self.buckets[rank] = [position]
-        a, b = rank >> 6, rank >> 12
+        buckets[rank] = position
+        a = rank >> 6
+        if not self.low[a]:
+            b = rank >> 12
+            self.mid[b] |= 1 << (a & 63)
+            self.top |= 1 << b
         self.low[a] |= 1 << (rank & 63)
-        self.mid[b] |= 1 << (a & 63)
-        self.top |= 1 << b
 
     def pop(self) -> tuple[int, int] | None:
-        if not self.top:
+        top = self.top
+        if not top:
             return None
-        b = (self.top & -self.top).bit_length() - 1
+        b = (top & -top).bit_length() - 1
         m = self.mid[b]
         a = (b << 6) + (m & -m).bit_length() - 1
         w = self.low[a]
         rank = (a << 6) + (w & -w).bit_length() - 1
         bucket = self.buckets[rank]
-        position = heappop(bucket)
-        if not bucket:
-            del self.buckets[rank]
-            self.low[a] = w & (w - 1)
-            if not self.low[a]:
-                self.mid[b] &= ~(1 << (a & 63))
-                if not self.mid[b]:
-                    self.top &= ~(1 << b)
+        if bucket.__class__ is not int:
+            position = heappop(bucket)
+            if bucket:
+                return rank, position
+        else:
+            position = bucket
+        del self.buckets[rank]
+        self.low[a] = w = w & (w - 1)
+        if not w:
+            self.mid[b] = m = m & (m - 1)
+            if not m:
+                self.top = top & (top - 1)
         return rank, position
 
 
+def _pack(ids: list[int]) -> bytes:
+    out = array("I", ids)
+    if sys.byteorder == "big":
+        out.byteswap()
+    return out.tobytes()
+
+
 class Codec:
     """Encoding and decoding by a rank table; ids are ranks."""
 
@@ -75,37 +97,60 @@ class Codec:
         self.chunks: dict[str, bytes] = {}
 
     def merge(self, piece: bytes) -> list[int]:
-        """Ids of one pre-token."""
+        """Ids of one pre-token. Only pairs of lower rank than both neighbours are queued: no other can be next, as a
+        merge beside it changes it first. Of equal neighbours the left one is queued."""
         ranks = self.ranks
         if (whole := ranks.get(piece)) is not None:
             return [whole]
         n = len(piece)
         end = list(range(1, n + 1))  # of the token that starts at a position
-        before = list(range(-1, n - 1))  # start of the token before it
-        pair = [-1] * n  # rank of the token with the one after it; -1: none, or not a start any more
-        queue, push, pop = self.queue, self.queue.push, self.queue.pop
+        before = list(range(-1, n))  # start of the token before it
+        pair = [ranks.get(piece[i : i + 2], _NONE) for i in range(n)]  # rank of the token with the one after it
+        pair[-1] = _NONE
+        push, pop = self.queue.push, self.queue.pop
+        queued = [_NONE] * n  # the rank with which a position was queued last
+        left = _NONE
         for i in range(n - 1):
-            if (r := ranks.get(piece[i : i + 2])) is not None:
-                pair[i] = r
+            r = pair[i]
+            if r < left and r <= pair[i + 1]:
                 push(r, i)
+                queued[i] = r
+            left = r
         while (got := pop()) is not None:
             rank, i = got
             if pair[i] != rank:
                 continue
             j = end[i]
-            pair[j] = -1
             e = end[i] = end[j]
-            pair[i] = -1
+            pair[j] = _NONE
+            p = before[i]
+            # The two pairs that hold the new token change; they and their neighbours may now be lower than both sides.
+            right = _NONE
             if e < n:
                 before[e] = i
-                if (r := ranks.get(piece[i : end[e]])) is not None:
-                    pair[i] = r
-                    push(r, i)
-            if (p := before[i]) >= 0:
-                pair[p] = -1
-                if (r := ranks.get(piece[p:e])) is not None:
-                    pair[p] = r
-                    push(r, p)
+                pair[i] = own = ranks.get(piece[i : end[e]], _NONE)
+                right = pair[e]
+                if right < own and right != queued[e] and (end[e] == n or right <= pair[end[e]]):
+                    push(right, e)
+                    queued[e] = right
+            else:
+                pair[i] = own = _NONE
+            if p >= 0:
+                pair[p] = left = ranks.get(piece[p:e], _NONE)
+                q = before[p]
+                if q >= 0:
+                    far = pair[q]
+                    if left < far and left <= own:
+                        push(left, p)
+                    elif far <= left and far != queued[q] and (before[q] < 0 or far < pair[before[q]]):
+                        push(far, q)
+                        queued[q] = far
+                elif left <= own and left < _NONE:
+                    push(left, p)
+                if own < left and own <= right:
+                    push(own, i)
+            elif own <= right and own < _NONE:
+                push(own, i)
         out, i = [], 0
         while i < n:
             out.append(ranks[piece[i : end[i]]])
@@ -113,7 +158,7 @@ class Codec:
         return out
 
     def _word(self, word: str) -> bytes:
-        ids = np.array(self.merge(word.encode("utf-8")), "<u4").tobytes()
+        ids = _pack(self.merge(word.encode("utf-8")))
         if len(self.words) < REMEMBER:
             self.words[word] = ids
         return ids
@@ -123,7 +168,13 @@ class Codec:
         return b"".join([known(w) or make(w) for w in self.split(text)])
 
     def _chunk(self, chunk: str) -> bytes:
-        ids = self._pieces(" " + chunk)
+        """A chunk after its space. Letters alone are one pre-token, and so is one common mark after them."""
+        if chunk.isalpha():
+            ids = _pack(self.merge((" " + chunk).encode("utf-8")))
+        elif chunk[-1] in ".,;:!?" and chunk[:-1].isalpha():
+            return (self.chunks.get(chunk[:-1]) or self._chunk(chunk[:-1])) + (self.words.get(chunk[-1]) or self._word(chunk[-1]))
+        else:
+            ids = self._pieces(" " + chunk)
         if len(self.chunks) < REMEMBER:
             self.chunks[chunk] = ids
         return ids
