@@ -142,7 +142,7 @@ class Codec:
                     far = pair[q]
                     if left < far and left <= own:
                         push(left, p)
-                    elif far <= left and far != queued[q] and (before[q] < 0 or far < pair[before[q]]):
+                    elif far <= left and far < _NONE and far != queued[q] and (before[q] < 0 or far < pair[before[q]]):
                         push(far, q)
                         queued[q] = far
                 elif left <= own and left < _NONE:
