@@ -133,3 +133,67 @@ def horseshoe_points(customer: DataFrame) -> DataFrame:
     raw = base.select("id", "part", (F.col("x0") + F.col("s") * F.cos("a")).alias("x0"), (F.col("x1") + F.col("s") * F.sin("a")).alias("x1"), (F.col("x2") + F.col("s") * F.cos("b")).alias("x2"))
     stats = raw.agg(*[f(f"x{i}").alias(f"{n}{i}") for i in range(3) for f, n in ((F.avg, "m"), (F.stddev_pop, "d"))])
     return raw.crossJoin(F.broadcast(stats)).select(F.lit("horseshoe").alias("grp"), "id", "part", F.array(*[(F.col(f"x{i}") - F.col(f"m{i}")) / F.col(f"d{i}") for i in range(3)]).alias("x"))
+
+
+def _double(x: float) -> str:
+    return f"{x!r}e0"
+
+
+_ALONG = f"(CAST(id % 300 AS DOUBLE) / 299 * {_double(12 + PI2)})"
+_THIRD = "(CAST(floor(id % 300 / 3) AS DOUBLE) / 99)"
+_TURN = f"({_double(PI2 / 2)} + ({_ALONG} - 6) / 2)"
+_REACH = f"(exp(ln(1 + 4 * pow(2, CAST(id % 3 AS DOUBLE))) * {_THIRD}) - 1)"
+#: Outlines as (part, x, y): expressions in ``id`` that Spark and other SQL engines read alike.
+SHAPES = {
+    "ushape": (f"CASE WHEN {_ALONG} < 6 THEN 0 WHEN {_ALONG} < {_double(6 + PI2)} THEN 1 ELSE 2 END",
+               f"CASE WHEN {_ALONG} < 6 THEN -2e0 WHEN {_ALONG} < {_double(6 + PI2)} THEN 2 * cos({_TURN}) ELSE 2e0 END",
+               f"CASE WHEN {_ALONG} < 6 THEN 6 - {_ALONG} WHEN {_ALONG} < {_double(6 + PI2)} THEN 2 * sin({_TURN}) ELSE {_ALONG} - {_double(6 + PI2)} END"),
+    "yshape": ("CAST(id % 3 AS INTEGER)", f"CASE CAST(id % 3 AS INTEGER) WHEN 0 THEN 0e0 WHEN 1 THEN 6 * {_THIRD} * sin(5e-1) ELSE -6 * {_THIRD} * sin(5e-1) END",
+               f"CASE CAST(id % 3 AS INTEGER) WHEN 0 THEN -6 * {_THIRD} ELSE 6 * {_THIRD} * cos(5e-1) END"),
+    "bar": ("0", "CAST(id % 300 AS DOUBLE) / 299 * 20 - 10", "0e0"),
+    "unequal": ("CAST(id % 3 AS INTEGER)", f"{_REACH} * cos(CAST(id % 3 AS DOUBLE) * {_double(PI2 / 3)})", f"{_REACH} * sin(CAST(id % 3 AS DOUBLE) * {_double(PI2 / 3)})"),
+}
+
+
+def shape_points(orders: DataFrame, shape: str, noise: float = 0.05) -> DataFrame:
+    """``(grp, id, sample, part, px, py, x)``: 300 consecutive order keys along an outline of :data:`SHAPES`, with noise."""
+    part, x, y = (F.expr(e) for e in SHAPES[shape])
+    m, phase = _noise()
+    rows = orders.select(F.col("o_orderkey").cast("long").alias("id"), (noise * m).alias("s"), phase.alias("p"))
+    rows = rows.select("id", F.floor(F.col("id") / PER_SAMPLE).cast("long").alias("sample"), part.cast("int").alias("part"), _unit(x + F.col("s") * F.cos("p")).alias("px"), _unit(y + F.col("s") * F.sin("p")).alias("py"))
+    return rows.select(F.col("sample").cast("string").alias("grp"), "*", F.array(F.col("px") / 1e4, F.col("py") / 1e4).alias("x"))
+
+
+def shape_sql(shape: str, noise: float = 0.05) -> str:
+    part, x, y = SHAPES[shape]
+    return f"""SELECT id, id // 300 AS sample, CAST({part} AS INTEGER) AS part,
+  CAST(floor(({x} + {_double(noise)} * m * cos(p)) * 1e4::DOUBLE + 0.5::DOUBLE) AS BIGINT) AS px,
+  CAST(floor(({y} + {_double(noise)} * m * sin(p)) * 1e4::DOUBLE + 0.5::DOUBLE) AS BIGINT) AS py
+FROM (SELECT o_orderkey AS id, sqrt(-2 * ln(least(greatest((o_totalprice - 1000) / 499000, 1e-9::DOUBLE), 1))) AS m,
+  {PI2!r}::DOUBLE * (d * {PHASES[0]!r}::DOUBLE - floor(d * {PHASES[0]!r}::DOUBLE)) AS p
+  FROM (SELECT *, CAST(date_diff('day', DATE '1970-01-01', CAST(o_orderdate AS DATE)) AS DOUBLE) AS d FROM orders))"""
+
+
+def profile_points(customer: DataFrame, orders: DataFrame) -> DataFrame:
+    """``(grp, id, segment, x)``: each customer's balance, orders, mean price, days since the last order and mean gap in days,
+    z-scored; what is missing takes the mean. Groups of customers by nation."""
+    day = F.datediff("o_orderdate", F.lit("1970-01-01").cast("date")).cast("double")
+    o = orders.select("o_custkey", "o_totalprice", day.alias("day"))
+    own = o.groupBy("o_custkey").agg(F.count(F.lit(1)).cast("double").alias("f1"), F.avg("o_totalprice").alias("f2"), F.max("day").alias("last"), F.min("day").alias("first"))
+    rows = customer.join(own, F.col("c_custkey") == F.col("o_custkey"), "left").select(F.col("c_custkey").cast("long").alias("id"), F.col("c_nationkey").cast("string").alias("grp"), F.col("c_mktsegment").alias("segment"), F.col("c_acctbal").cast("double").alias("f0"), F.coalesce("f1", F.lit(0.0)).alias("f1"), "f2", (-F.col("last")).alias("f3"), F.when(F.col("f1") > 1, (F.col("last") - F.col("first")) / (F.col("f1") - 1)).alias("f4"))
+    stats = rows.agg(*[f(f"f{i}").alias(f"{n}{i}") for i in range(5) for f, n in ((F.avg, "m"), (F.stddev_pop, "d"))])
+    z = [F.coalesce(F.when(F.col(f"d{i}") > 0, (F.col(f"f{i}") - F.col(f"m{i}")) / F.col(f"d{i}")), F.lit(0.0)) for i in range(5)]
+    return rows.crossJoin(F.broadcast(stats)).select("grp", "id", "segment", F.array(*z).alias("x"))
+
+
+PROFILE_SQL = """WITH o AS (SELECT o_custkey, o_totalprice, CAST(date_diff('day', DATE '1970-01-01', CAST(o_orderdate AS DATE)) AS DOUBLE) AS day FROM orders),
+ own AS (SELECT o_custkey, count(*) AS n, avg(o_totalprice) AS price, max(day) AS last, min(day) AS first FROM o GROUP BY 1),
+ raw AS (SELECT c_custkey AS id, c_acctbal AS f0, coalesce(n, 0)::DOUBLE AS f1, price AS f2, -last AS f3, CASE WHEN n > 1 THEN (last - first) / (n - 1) END AS f4 FROM customer LEFT JOIN own ON o_custkey = c_custkey)
+SELECT id, """ + ", ".join(f"round(coalesce((f{i} - avg(f{i}) OVER ()) / stddev_pop(f{i}) OVER (), 0), 5) + 0.0 AS z{i}" for i in range(5)) + " FROM raw"
+
+
+def embedding_points(embeddings: DataFrame) -> DataFrame:
+    """``(grp, id, x)`` of finite vectors other than zero."""
+    x = F.transform("embedding", lambda v: v.cast("double"))
+    sound = ~F.exists("x", lambda v: v.isNull() | F.isnan(v) | (F.abs(v) == float("inf"))) & F.exists("x", lambda v: v != 0)
+    return embeddings.select(F.lit("atlas").alias("grp"), F.col("vec_id").alias("id"), x.alias("x")).where(sound)
