@@ -12,6 +12,8 @@ from dataclasses import dataclass, field
 import numpy as np
 
 MIN_GAP = 1e-12
+#: Edges a point from which a graph is thinned to a spanning forest, by array steps, before its edges are walked.
+DENSE = 12
 
 
 def distances(x: np.ndarray, metric: str = "euclidean") -> np.ndarray:
@@ -89,8 +91,22 @@ class Tree:
         return out
 
 
+def thinned(n: int, u: np.ndarray, v: np.ndarray, level: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """A greatest spanning forest of the edges: at every level it has the same components."""
+    w = np.full((n, n), 1.0)
+    rank = np.unique(-level, return_inverse=True)[1] / (len(level) + 1)  # below 1, which stands for no edge
+    np.minimum.at(w, (u, v), rank), np.minimum.at(w, (v, u), rank)
+    full = np.full((n, n), -np.inf)
+    np.maximum.at(full, (u, v), level), np.maximum.at(full, (v, u), level)
+    t = spanning_tree(w)
+    a, b = (t[t[:, 2] < 1, i].astype(int) for i in (0, 1))
+    return a, b, full[a, b]
+
+
 def hierarchy(n: int, u: np.ndarray, v: np.ndarray, level: np.ndarray, least: int) -> Tree:
     """Fused linkage and condensing: levels are taken from high to low, all edges of a level at once."""
+    if n > 1 and len(u) > DENSE * n:
+        u, v, level = thinned(n, u, v, level)
     tree, root = Tree(exit_node=np.full(n, -1), exit_level=np.zeros(n)), np.arange(n)
     size, node, loose = np.ones(n, int), np.full(n, -1), {i: [i] for i in range(n)}
 

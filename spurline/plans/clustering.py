@@ -26,13 +26,20 @@ def _points(pdf: pd.DataFrame) -> tuple[pd.DataFrame, np.ndarray]:
 
 
 def per_group(points: DataFrame, schema: str, make) -> DataFrame:
-    """``make(x, ids)`` returns columns for each group ``grp`` of ``points`` (``grp, id, x``)."""
+    """``make(x, ids)`` returns columns for each group ``grp`` of ``points`` (``grp, id, x``).
+
+    The number of partitions is given, so that few bytes with much work are not put together in one task at run time.
+    """
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         grp = pdf["grp"].iloc[0]
         pdf, x = _points(pdf)
         return pd.DataFrame({"grp": grp, **make(x, pdf["id"].to_numpy())})
 
-    return points.select("grp", "id", "x").groupBy("grp").applyInPandas(run, schema)
+    return spread(points).groupBy("grp").applyInPandas(run, schema)
+
+
+def spread(points: DataFrame) -> DataFrame:
+    return points.select("grp", "id", "x").repartition(int(points.sparkSession.conf.get("spark.sql.shuffle.partitions")), "grp")
 
 
 def branch_clusters(points: DataFrame, p: BranchParams = BranchParams()) -> DataFrame:

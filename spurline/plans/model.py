@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from spurline.operators import kernels as K
 from spurline.params import BranchParams
-from spurline.plans.clustering import RESULT, _points
+from spurline.plans.clustering import RESULT, _points, spread
 
 MODEL = "grp string, id long, x array<double>, label int, strength double, core double, tree_nbr long, tree_w double"
 
@@ -25,7 +25,7 @@ def density_model(points: DataFrame, p: BranchParams = BranchParams()) -> DataFr
             near[int(b)], far[int(b)] = int(ids[int(a)]), float(w)
         return pd.DataFrame({"grp": grp, "id": ids, "x": pdf["x"].tolist(), "label": m.label, "strength": m.strength, "core": m.core, "tree_nbr": pd.array(near, "Int64"), "tree_w": pd.array(far, "Float64")})
 
-    return points.select("grp", "id", "x").groupBy("grp").applyInPandas(run, MODEL)
+    return spread(points).groupBy("grp").applyInPandas(run, MODEL)
 
 
 def branches_of(model: DataFrame, p: BranchParams) -> DataFrame:

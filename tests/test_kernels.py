@@ -159,3 +159,16 @@ def test_streams_equal_batches(spark, tmp_path):
     q.awaitTermination(120)
     key = lambda df: sorted((str(r.start), r.event_type, r.n, round(r.total, 6)) for r in df.collect())
     assert key(spark.table("w")) == key(event_windows(batch))
+
+
+@given(clouds, st.integers(2, 6))
+@settings(max_examples=60, deadline=None)
+def test_thinning_changes_no_hierarchy(x, least):
+    n, d = len(x), K.distances(x)
+    u, v = np.nonzero(np.triu(d <= 4, 1))
+    e = np.hypot(*(x - x.mean(0)).T)
+    level = np.minimum(e[u], e[v])
+    a, b, cut = K.thinned(n, u, v, level)
+    whole, thin = K.hierarchy(n, u, v, level, least), K.hierarchy(n, a, b, cut, least)
+    assert len(a) < n and (whole.exit_level == thin.exit_level).all()
+    assert sorted(zip(whole.size, whole.birth)) == sorted(zip(thin.size, thin.birth))
