@@ -77,15 +77,19 @@ FROM (SELECT o_orderkey AS id, exp({math.log(1 + b_l)!r}::DOUBLE * (CAST((o_orde
   FROM (SELECT *, CAST(date_diff('day', DATE '1970-01-01', CAST(o_orderdate AS DATE)) AS DOUBLE) AS d FROM orders)) WHERE {where}"""
 
 
+def walk_step() -> F.Column:
+    """The length of an event's step, from its value and its property k."""
+    u = F.greatest(F.lit(1e-9), 1.0 - F.exp(-F.col("value") / 50.0))
+    k = F.get_json_object("props", "$.k").cast("double")
+    return _unit(0.1 * F.sqrt(-2.0 * F.log(u)) * F.cos(PI2 * ((k + 0.5) / 100.0)))
+
+
 def walk_points(events: DataFrame, dims: int = 2, steps: int = 50) -> DataFrame:
     """``(grp, id, user, step, start, p0.., x)``: each user with enough events walks ``steps`` steps along one axis at a time; five users share a start."""
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")
-    u = F.greatest(F.lit(1e-9), 1.0 - F.exp(-F.col("value") / 50.0))
-    k = F.get_json_object("props", "$.k").cast("double")
-    size = _unit(0.1 * F.sqrt(-2.0 * F.log(u)) * F.cos(PI2 * ((k + 0.5) / 100.0)))
     rows = events.where("user_id is not null").withColumn("step", F.row_number().over(w)).where(F.col("step") <= steps)
     full = rows.groupBy("user_id").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") == steps)
-    rows = rows.join(full.select("user_id"), "user_id").select("user_id", "step", F.pmod("event_id", F.lit(dims)).alias("axis"), size.alias("size"), "ts", "event_id")
+    rows = rows.join(full.select("user_id"), "user_id").select("user_id", "step", F.pmod("event_id", F.lit(dims)).alias("axis"), walk_step().alias("size"), "ts", "event_id")
     run = Window.partitionBy("user_id").orderBy("step").rowsBetween(Window.unboundedPreceding, 0)
     at = [F.sum(F.when(F.col("axis") == i, F.col("size")).otherwise(0)).over(run).alias(f"w{i}") for i in range(dims)]
     rows = rows.select("user_id", "step", F.floor(F.col("user_id") / 5).cast("long").alias("start"), *at)

@@ -2,8 +2,13 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from spurline.operators.neighbors import squared
 
@@ -30,3 +35,26 @@ def assign(points: DataFrame, centres: DataFrame, cutoff: float) -> DataFrame:
     rows = F.broadcast(centres.agg(F.collect_list(F.struct("label", "c")).alias("cs")))
     near = F.array_min(F.transform("cs", lambda s: F.struct(F.sqrt(squared(F.col("x"), s["c"])).alias("d"), s["label"].alias("label"))))
     return points.join(rows).select("id", "x", near.alias("m")).select("id", "x", F.when(F.col("m.d") <= cutoff, F.col("m.label")).otherwise(-1).alias("label"))
+
+
+def walk_positions(events: DataFrame, steps: int = 50) -> DataFrame:
+    """``(user_id, step, p0, p1)`` of a stream of ``events``: each user's position after every event, up to ``steps``, in whole units.
+
+    A user's count and position are the state, three numbers. Within a batch events go by time and id; an event that comes
+    in a later batch than a younger one takes the next step. Null users are left out.
+    """
+    from spurline.sources.workloads import walk_step
+
+    rows = events.where("user_id is not null").select("user_id", "ts", "event_id", F.pmod("event_id", F.lit(2)).alias("axis"), walk_step().alias("size"))
+
+    def run(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        n, p0, p1 = state.get if state.exists else (0, 0, 0)
+        batch = pd.concat(list(parts)).sort_values(["ts", "event_id"]).head(steps - n)
+        if len(batch):
+            even = batch["axis"].to_numpy() == 0
+            size = batch["size"].to_numpy()
+            at = [p0 + np.cumsum(np.where(even, size, 0)), p1 + np.cumsum(np.where(even, 0, size))]
+            state.update((n + len(batch), int(at[0][-1]), int(at[1][-1])))
+            yield pd.DataFrame({"user_id": key[0], "step": np.arange(n + 1, n + 1 + len(batch)), "p0": at[0], "p1": at[1]})
+
+    return rows.groupBy("user_id").applyInPandasWithState(run, "user_id long, step long, p0 long, p1 long", "n long, p0 long, p1 long", "append", GroupStateTimeout.NoTimeout)
