@@ -21,8 +21,8 @@ from spurline.streaming import windows as S
 QUERIES, ORACLES = {}, {}
 BEST = BranchParams(min_samples=5, min_cluster_size=25, min_branch_size=12, allow_single_cluster=True, branch_selection="leaf", central_labels="geodesic")
 LEAF_DENSITY = BranchParams(min_samples=5, min_cluster_size=8, cluster_selection="leaf")
-S0_SQL = W.star_sql(where="id < 300")
-PAIRS = f"s AS ({S0_SQL}), pairs AS (SELECT a.id AS id, b.id AS nbr, (a.px - b.px) * (a.px - b.px) + (a.py - b.py) * (a.py - b.py) AS d2 FROM s a, s b WHERE a.id <> b.id), ranked AS (SELECT *, rank() OVER (PARTITION BY id ORDER BY d2) AS rank FROM pairs), knn AS (SELECT * FROM ranked WHERE rank <= 5), core AS (SELECT id, max(d2) AS c2 FROM knn GROUP BY id)"
+STAR_SQL = W.star_sql()
+PAIRS = f"s AS ({STAR_SQL}), pairs AS (SELECT a.id AS id, b.id AS nbr, (a.px - b.px) * (a.px - b.px) + (a.py - b.py) * (a.py - b.py) AS d2 FROM s a JOIN s b ON a.sample = b.sample AND a.id <> b.id), ranked AS (SELECT *, rank() OVER (PARTITION BY id ORDER BY d2) AS rank FROM pairs), knn AS (SELECT * FROM ranked WHERE rank <= 5), core AS (SELECT id, max(d2) AS c2 FROM knn GROUP BY id)"
 CORE_SQL = "graph AS (SELECT p.id AS u, p.nbr AS v, p.d2 FROM pairs p JOIN core a ON a.id = p.id JOIN core b ON b.id = p.nbr WHERE p.id < p.nbr AND p.d2 <= greatest(a.c2, b.c2))"
 
 
@@ -36,13 +36,13 @@ def query(sql: str | None = None):
     return add
 
 
-def s0(spark: SparkSession, d: str) -> DataFrame:
-    """Sample 0 of the star, coordinates in whole units, so that squared distances are exact."""
-    return W.star_points(table(spark, d, "orders").where("o_orderkey < 300")).withColumn("x", F.array(F.col("px").cast("double"), F.col("py").cast("double")))
+def star(spark: SparkSession, d: str) -> DataFrame:
+    """All samples of the star, coordinates in whole units, so that squared distances are exact."""
+    return W.star_points(table(spark, d, "orders")).withColumn("x", F.array(F.col("px").cast("double"), F.col("py").cast("double")))
 
 
-def s0_knn(spark: SparkSession, d: str) -> DataFrame:
-    return materialise(N.knn(s0(spark, d), 5, side=8000.0), "s0-knn")
+def star_nn(spark: SparkSession, d: str) -> DataFrame:
+    return materialise(N.knn(star(spark, d), 5, side=8000.0), "star-knn")
 
 
 def exact(d: F.Column) -> F.Column:
@@ -57,9 +57,9 @@ def star_points(spark, d):
 _GRID = [(a, b, W.lengths(a), W.noises(b)) for a in range(10) for b in range(10)]
 
 
-@query("SELECT CAST(a AS INTEGER) AS j_l, CAST(b AS INTEGER) AS j_n, CAST(o_orderkey // 300 AS BIGINT) AS sample, count(*) AS n FROM orders, range(10) t(a), range(10) r(b) WHERE o_orderkey < 3000 GROUP BY ALL")
+@query("SELECT CAST(a AS INTEGER) AS j_l, CAST(b AS INTEGER) AS j_n, CAST(o_orderkey // 300 AS BIGINT) AS sample, count(*) AS n FROM orders, range(10) t(a), range(10) r(b) GROUP BY ALL")
 def star_grid_sizes(spark, d):
-    return W.star_grid(table(spark, d, "orders").where("o_orderkey < 3000"), _GRID).groupBy("j_l", "j_n", "sample").agg(F.count(F.lit(1)).alias("n"))
+    return W.star_grid(table(spark, d, "orders"), _GRID).groupBy("j_l", "j_n", "sample").agg(F.count(F.lit(1)).alias("n"))
 
 
 @query(W.walk_sql())
@@ -79,68 +79,67 @@ def embedding_long(spark, d):
 
 @query(f"WITH {PAIRS} SELECT id, nbr, d2, rank FROM knn")
 def star_knn(spark, d):
-    return s0_knn(spark, d).select("id", "nbr", exact(F.col("d")).alias("d2"), F.col("rank").cast("long").alias("rank"))
+    return star_nn(spark, d).select("id", "nbr", exact(F.col("d")).alias("d2"), F.col("rank").cast("long").alias("rank"))
 
 
-@query(f"WITH s AS (SELECT user_id * 50 + step AS id, p0, p1 FROM ({W.walk_sql()})), t AS (SELECT * FROM s ORDER BY id LIMIT 1000), ranked AS (SELECT a.id AS id, b.id AS nbr, (a.p0 - b.p0) * (a.p0 - b.p0) + (a.p1 - b.p1) * (a.p1 - b.p1) AS d2, rank() OVER (PARTITION BY a.id ORDER BY (a.p0 - b.p0) * (a.p0 - b.p0) + (a.p1 - b.p1) * (a.p1 - b.p1)) AS rank FROM t a, s b WHERE a.id <> b.id) SELECT id, nbr, CAST(d2 AS BIGINT) AS d2 FROM ranked WHERE rank <= 10")
+@query(f"WITH s AS (SELECT user_id * 50 + step AS id, p0, p1 FROM ({W.walk_sql()})), ranked AS (SELECT a.id AS id, b.id AS nbr, (a.p0 - b.p0) * (a.p0 - b.p0) + (a.p1 - b.p1) * (a.p1 - b.p1) AS d2, rank() OVER (PARTITION BY a.id ORDER BY (a.p0 - b.p0) * (a.p0 - b.p0) + (a.p1 - b.p1) * (a.p1 - b.p1)) AS rank FROM s a, s b WHERE a.id <> b.id) SELECT id, nbr, CAST(d2 AS BIGINT) AS d2 FROM ranked WHERE rank <= 10")
 def walk_knn(spark, d):
-    """Neighbours among all points; the report shows those of the first thousand points."""
     pts = materialise(W.walk_points(table(spark, d, "events")).withColumn("x", F.array(F.col("p0").cast("double"), F.col("p1").cast("double"))), "walk")
-    first = pts.select("id").orderBy("id").limit(1000)
-    return N.knn(pts, 10, side=2000.0).join(first, "id", "left_semi").select("id", "nbr", exact(F.col("d")).alias("d2"))
+    return N.knn(pts, 10, side=2000.0).select("id", "nbr", exact(F.col("d")).alias("d2"))
 
 
 @query(f"WITH {PAIRS} SELECT id, round(sqrt(c2), 6) AS core FROM core")
 def star_core(spark, d):
-    return N.core_distance(s0_knn(spark, d), 5).select("id", F.round("core", 6).alias("core"))
+    return N.core_distance(star_nn(spark, d), 5).select("id", F.round("core", 6).alias("core"))
 
 
 @query(f"WITH {PAIRS} SELECT p.id AS u, p.nbr AS v, round(sqrt(greatest(p.d2, a.c2, b.c2)), 6) AS w FROM pairs p JOIN core a ON a.id = p.id JOIN core b ON b.id = p.nbr WHERE p.id < p.nbr")
 def star_reach_edges(spark, d):
-    p = s0(spark, d)
+    p = star(spark, d)
     both = p.select("grp", F.col("id").alias("u"), F.col("x").alias("a")).join(p.select("grp", F.col("id").alias("v"), F.col("x").alias("b")), "grp").where("u < v")
     edges = both.select("grp", "u", "v", F.sqrt(N.squared(F.col("a"), F.col("b"))).alias("d"))
-    return N.mutual_reach(edges, N.core_distance(s0_knn(spark, d), 5)).select("u", "v", F.round("w", 6).alias("w"))
+    return N.mutual_reach(edges, N.core_distance(star_nn(spark, d), 5)).select("u", "v", F.round("w", 6).alias("w"))
 
 
 @query(f"WITH {PAIRS}, {CORE_SQL} SELECT u, v, d2 FROM graph")
 def star_core_graph(spark, d):
-    nn = s0_knn(spark, d)
+    nn = star_nn(spark, d)
     return N.graph_core(nn, N.core_distance(nn, 5)).select("u", "v", exact(F.col("d")).alias("d2"))
 
 
 @query(f"WITH {PAIRS} SELECT DISTINCT least(id, nbr) AS u, greatest(id, nbr) AS v FROM knn")
 def star_core_graph_lists(spark, d):
-    return s0_knn(spark, d).select(F.least("id", "nbr").alias("u"), F.greatest("id", "nbr").alias("v")).distinct()
+    return star_nn(spark, d).select(F.least("id", "nbr").alias("u"), F.greatest("id", "nbr").alias("v")).distinct()
 
 
 @query(f"WITH {PAIRS} SELECT a.id AS u, a.nbr AS v FROM knn a JOIN knn b ON a.id = b.nbr AND a.nbr = b.id WHERE a.id < a.nbr")
 def star_mutual_graph(spark, d):
-    return N.graph_mutual(s0_knn(spark, d)).select("u", "v")
+    return N.graph_mutual(star_nn(spark, d)).select("u", "v")
 
 
-@query(f"WITH {PAIRS}, {CORE_SQL}, m AS (SELECT a.id AS u, a.nbr AS v, a.d2 FROM knn a JOIN knn b ON a.id = b.nbr AND a.nbr = b.id WHERE a.id < a.nbr) SELECT 'core' AS kind, count(*) AS edges, round(2.0 * count(*) / 300, 6) AS degree FROM graph UNION ALL SELECT 'mutual', count(*), round(2.0 * count(*) / 300, 6) FROM m")
+@query(f"WITH {PAIRS}, {CORE_SQL}, m AS (SELECT a.id AS u, a.nbr AS v, a.d2 FROM knn a JOIN knn b ON a.id = b.nbr AND a.nbr = b.id WHERE a.id < a.nbr) SELECT 'core' AS kind, count(*) AS edges, round(2.0 * count(*) / (SELECT count(*) FROM s), 6) AS degree FROM graph UNION ALL SELECT 'mutual', count(*), round(2.0 * count(*) / (SELECT count(*) FROM s), 6) FROM m")
 def star_graph_stats(spark, d):
-    nn = s0_knn(spark, d)
+    nn = star_nn(spark, d)
     both = N.graph_core(nn, N.core_distance(nn, 5)).select(F.lit("core").alias("kind")).unionByName(N.graph_mutual(nn).select(F.lit("mutual").alias("kind")))
-    return both.groupBy("kind").agg(F.count(F.lit(1)).alias("edges"), F.round(2.0 * F.count(F.lit(1)) / 300, 6).alias("degree"))
+    size = star(spark, d).agg(F.count(F.lit(1)).alias("n"))  # one row
+    return both.groupBy("kind").agg(F.count(F.lit(1)).alias("edges")).join(size).select("kind", "edges", F.round(2.0 * F.col("edges") / F.col("n"), 6).alias("degree"))
 
 
-_SIGNAL = "e AS (SELECT id, sqrt((px - mx) * (px - mx) + (py - my) * (py - my)) / 1e4 AS value FROM s, (SELECT avg(px) AS mx, avg(py) AS my FROM s))"
+_SIGNAL = "e AS (SELECT id, sample, sqrt((px - mx) * (px - mx) + (py - my) * (py - my)) / 1e4 AS value FROM s JOIN (SELECT sample, avg(px) AS mx, avg(py) AS my FROM s GROUP BY sample) USING (sample))"
 
 
 def _signal(spark, d) -> DataFrame:
-    p = s0(spark, d)
+    p = star(spark, d)
     m = p.groupBy("grp").agg(F.avg("px").alias("mx"), F.avg("py").alias("my"))
     return materialise(p.join(m, "grp").select("grp", "id", (F.sqrt((F.col("px") - F.col("mx")) * (F.col("px") - F.col("mx")) + (F.col("py") - F.col("my")) * (F.col("py") - F.col("my"))) / 1e4).alias("value")), "signal")
 
 
 def _core_graph(spark, d) -> DataFrame:
-    nn = s0_knn(spark, d)
+    nn = star_nn(spark, d)
     return materialise(N.graph_core(nn, N.core_distance(nn, 5)), "core-graph")
 
 
-@query(f"WITH s AS ({S0_SQL}), {_SIGNAL} SELECT id, round(value, 6) AS e FROM e")
+@query(f"WITH s AS ({STAR_SQL}), {_SIGNAL} SELECT id, round(value, 6) AS e FROM e")
 def star_unit_eccentricity(spark, d):
     return _signal(spark, d).select("id", F.round("value", 6).alias("e"))
 
@@ -158,10 +157,11 @@ def star_contours(spark, d):
     return components(edges.select("threshold", "u", "v"), points.select("threshold", "id"), keys=("threshold",))
 
 
-@query(f"WITH RECURSIVE {PAIRS}, {CORE_SQL}, links AS (SELECT u, v FROM graph UNION ALL SELECT v, u FROM graph), r(root, id, hops) AS (SELECT root, root, 0 FROM (VALUES (297::BIGINT), (298::BIGINT), (299::BIGINT)) t(root) UNION SELECT r.root, links.v, r.hops + 1 FROM r JOIN links ON links.u = r.id WHERE r.hops < 120) SELECT root, id, min(hops) AS hops FROM r GROUP BY root, id")
+@query(f"WITH RECURSIVE {PAIRS}, {CORE_SQL}, links AS (SELECT u, v FROM graph UNION ALL SELECT v, u FROM graph), r(root, id, hops) AS (SELECT id, id, 0 FROM s WHERE id % 300 >= 297 UNION SELECT r.root, links.v, r.hops + 1 FROM r JOIN links ON links.u = r.id WHERE r.hops < 120) SELECT root, id, min(hops) AS hops FROM r GROUP BY root, id")
 def star_hop_distances(spark, d):
+    """Hops from the ends of the three arms of each sample."""
     g = _core_graph(spark, d)
-    roots = s0(spark, d).where("id >= 297").select("grp", F.col("id").alias("root"))
+    roots = star(spark, d).where("id % 300 >= 297").select("grp", F.col("id").alias("root"))
     return N.hop_distances(g, roots).select("root", "id", "hops")
 
 
@@ -172,12 +172,12 @@ def star_smoothed(spark, d):
 
 @query(f"WITH {PAIRS}, {_SIGNAL} SELECT id, round(value + sqrt(c2) / 1e4, 6) AS value FROM e JOIN core USING (id)")
 def star_pushed(spark, d):
-    return _signal(spark, d).join(N.core_distance(s0_knn(spark, d), 5), ["grp", "id"]).select("id", F.round(F.col("value") + F.col("core") / 1e4, 6).alias("value"))
+    return _signal(spark, d).join(N.core_distance(star_nn(spark, d), 5), ["grp", "id"]).select("id", F.round(F.col("value") + F.col("core") / 1e4, 6).alias("value"))
 
 
 @query(f"WITH {PAIRS} SELECT id, round(sum(sqrt(d2)) / 1e4, 4) AS total FROM pairs GROUP BY id")
 def star_distance_sum(spark, d):
-    return B.distance_sums(s0(spark, d)).select("id", F.round(F.col("value") / 1e4, 4).alias("total"))
+    return B.distance_sums(star(spark, d)).select("id", F.round(F.col("value") / 1e4, 4).alias("total"))
 
 
 _LINKS = "links AS (SELECT id AS u, nbr AS v FROM pairs WHERE d2 <= 9000000)"
@@ -185,7 +185,7 @@ _LINKS = "links AS (SELECT id AS u, nbr AS v FROM pairs WHERE d2 <= 9000000)"
 
 @query(f"WITH RECURSIVE {PAIRS}, {_LINKS}, r(a, b) AS (SELECT id, id FROM s UNION SELECT r.a, links.v FROM r JOIN links ON links.u = r.b) SELECT a AS id, min(b) AS component FROM r GROUP BY a")
 def star_single_linkage_cut(spark, d):
-    return C.single_linkage_cut(s0(spark, d), 3000.0).select("id", "component")
+    return C.single_linkage_cut(star(spark, d), 3000.0).select("id", "component")
 
 
 def _pair_edges(p: DataFrame, radius: float) -> DataFrame:
@@ -198,16 +198,16 @@ _SUMS = "t AS (SELECT id, sum(sqrt(d2)) / 1e4 AS total FROM pairs GROUP BY id)"
 
 @query(f"WITH RECURSIVE {PAIRS}, {_SUMS}, n AS (SELECT id FROM t WHERE total >= 2000), links AS (SELECT id AS u, nbr AS v FROM pairs WHERE d2 <= 225000000), r(a, b) AS (SELECT id, id FROM n UNION SELECT r.a, links.v FROM r JOIN links ON links.u = r.b JOIN n ON n.id = links.v) SELECT a AS id, min(b) AS component FROM r GROUP BY a")
 def star_core_removal(spark, d):
-    p = s0(spark, d)
+    p = star(spark, d)
     sums = B.distance_sums(p).select("grp", "id", (F.col("value") / 1e4).alias("value"))
     return B.core_removal(sums, _pair_edges(p, 15000.0), 2000.0, 15000.0).select("id", "component")
 
 
-@query(f"WITH RECURSIVE {PAIRS}, {_SUMS}, g(e_index, r_index, e, r) AS (VALUES (0, 0, 0, 5000), (0, 1, 0, 15000), (1, 0, 2000, 5000), (1, 1, 2000, 15000)), n AS (SELECT e_index, r_index, r, id FROM t, g WHERE total >= e), c(e_index, r_index, r, a, b) AS (SELECT e_index, r_index, r, id, id FROM n UNION SELECT c.e_index, c.r_index, c.r, c.a, p.nbr FROM c JOIN pairs p ON p.id = c.b AND p.d2 <= c.r * c.r JOIN n ON n.id = p.nbr AND n.e_index = c.e_index AND n.r_index = c.r_index) SELECT e_index, r_index, count(DISTINCT m) AS components FROM (SELECT e_index, r_index, a, min(b) AS m FROM c GROUP BY ALL) GROUP BY ALL")
+@query(f"WITH RECURSIVE {PAIRS}, {_SUMS}, g(e_index, r_index, e, r) AS (VALUES (0, 0, 0, 5000), (0, 1, 0, 15000), (1, 0, 2000, 5000), (1, 1, 2000, 15000)), n AS (SELECT e_index, r_index, r, id FROM t, g WHERE total >= e), c(e_index, r_index, r, a, b) AS (SELECT e_index, r_index, r, id, id FROM n UNION SELECT c.e_index, c.r_index, c.r, c.a, p.nbr FROM c JOIN pairs p ON p.id = c.b AND p.d2 <= c.r * c.r JOIN n ON n.id = p.nbr AND n.e_index = c.e_index AND n.r_index = c.r_index) SELECT CAST(sample AS VARCHAR) AS grp, e_index, r_index, count(DISTINCT m) AS components FROM (SELECT e_index, r_index, a, min(b) AS m FROM c GROUP BY ALL) JOIN s ON s.id = a GROUP BY ALL")
 def star_component_grid(spark, d):
-    p = s0(spark, d)
+    p = star(spark, d)
     sums = B.distance_sums(p).select("grp", "id", (F.col("value") / 1e4).alias("value"))
-    return B.component_grid(sums, _pair_edges(p, 15000.0), [0.0, 2000.0], [5000.0, 15000.0]).drop("grp")
+    return B.component_grid(sums, _pair_edges(p, 15000.0), [0.0, 2000.0], [5000.0, 15000.0])
 
 
 def _kmeans_sql(rounds: int) -> str:
@@ -308,12 +308,12 @@ def cluster_tree(spark, d):
 
 @query()
 def star_label_adjacency(spark, d):
-    """Which groups of sample 0 touch, over how many edges, and the strongest level of those."""
-    p = s0(spark, d)
+    """Which groups of a sample touch, over how many edges, and the strongest level of those."""
+    p = star(spark, d)
     found = materialise(C.branch_clusters(p, BEST).select("grp", "id", "label"), "labels")
     e = N.level_edges(_core_graph(spark, d), _signal(spark, d))
     e = e.join(found.select("grp", F.col("id").alias("u"), F.col("label").alias("a")), ["grp", "u"]).join(found.select("grp", F.col("id").alias("v"), F.col("label").alias("b")), ["grp", "v"])
-    return e.where("a <> b").groupBy(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg(F.count(F.lit(1)).alias("edges"), F.max("level").alias("level"))
+    return e.where("a <> b").groupBy("grp", F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg(F.count(F.lit(1)).alias("edges"), F.max("level").alias("level"))
 
 
 @query()
@@ -377,9 +377,9 @@ def asof_order_before_event(spark, d):
 
 @query(f"WITH {PAIRS} SELECT s.id FROM s WHERE NOT EXISTS (SELECT 1 FROM pairs p WHERE p.id = s.id AND d2 <= 1000000)")
 def anti_isolated_points(spark, d):
-    near = _pair_edges(s0(spark, d), 1000.0)
+    near = _pair_edges(star(spark, d), 1000.0)
     ends = near.select(F.col("u").alias("id")).unionByName(near.select(F.col("v").alias("id")))
-    return s0(spark, d).select("id").join(ends, "id", "left_anti")
+    return star(spark, d).select("id").join(ends, "id", "left_anti")
 
 
 @query("SELECT c_custkey, o_orderkey, CAST(place AS INTEGER) AS place FROM (SELECT c_custkey, o_orderkey, row_number() OVER (PARTITION BY c_custkey ORDER BY o_totalprice DESC, o_orderkey) AS place FROM customer JOIN orders ON o_custkey = c_custkey) WHERE place <= 3")

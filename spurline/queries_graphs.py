@@ -15,12 +15,12 @@ from spurline.operators import summaries as Y
 from spurline.params import BranchParams
 from spurline.plans import clustering as C
 from spurline.plans import model as P
-from spurline.queries import _SIGNAL, _SUMS, BEST, CORE_SQL, LEAF_DENSITY, PAIRS, _core_graph, _signal, exact, query, s0, s0_knn
+from spurline.queries import _SIGNAL, _SUMS, BEST, CORE_SQL, LEAF_DENSITY, PAIRS, _core_graph, _signal, exact, query, star, star_nn
 from spurline.runtime import materialise, table
 from spurline.sources import workloads as W
 from spurline.streaming import windows as S
 
-_WALKED = f"WITH RECURSIVE {PAIRS}, {CORE_SQL}, links AS (SELECT u, v FROM graph UNION ALL SELECT v, u FROM graph), far(root, id, hops) AS (SELECT id, id, 0 FROM s WHERE id >= {{first}} UNION SELECT far.root, links.v, far.hops + 1 FROM far JOIN links ON links.u = far.id WHERE far.hops < 299), h AS (SELECT root, id, min(hops) AS hops FROM far GROUP BY ALL)"
+_WALKED = f"WITH RECURSIVE {PAIRS}, {CORE_SQL}, links AS (SELECT u, v FROM graph UNION ALL SELECT v, u FROM graph), far(root, id, hops) AS (SELECT id, id, 0 FROM s WHERE id % 300 >= {{first}} UNION SELECT far.root, links.v, far.hops + 1 FROM far JOIN links ON links.u = far.id WHERE far.hops < 299), h AS (SELECT root, id, min(hops) AS hops FROM far GROUP BY ALL)"
 _REACHED = "r(k, a, b) AS (SELECT k, id, id FROM n UNION SELECT r.k, r.a, l.v FROM r JOIN l ON l.k = r.k AND l.u = r.b), c AS (SELECT k, a AS id, min(b) AS component FROM r GROUP BY ALL)"
 
 
@@ -44,9 +44,9 @@ def profile_points(spark, d):
 @query(f"WITH {PAIRS} SELECT p.id AS u, p.nbr AS v, p.d2 FROM pairs p JOIN core a ON a.id = p.id JOIN core b ON b.id = p.nbr WHERE p.id < p.nbr AND greatest(p.d2, a.c2, b.c2) <= 36000000")
 def star_full_graph(spark, d):
     """Pairs whose mutual reachability is at most a stated length."""
-    p = s0(spark, d)
+    p = star(spark, d)
     reach = p.select("grp").distinct().withColumn("reach", F.lit(6000.0))
-    return Y.graph_full(p, N.core_distance(s0_knn(spark, d), 5), reach).select("u", "v", exact(F.col("d")).alias("d2"))
+    return Y.graph_full(p, N.core_distance(star_nn(spark, d), 5), reach).select("u", "v", exact(F.col("d")).alias("d2"))
 
 
 @query(f"WITH {PAIRS}, {CORE_SQL}, f AS (SELECT p.id AS u, p.nbr AS v FROM pairs p JOIN core a ON a.id = p.id JOIN core b ON b.id = p.nbr WHERE p.id < p.nbr AND greatest(p.d2, a.c2, b.c2) <= 36000000), g AS (SELECT u, v FROM graph) SELECT 'both' AS part, count(*) AS edges FROM (SELECT * FROM g INTERSECT SELECT * FROM f) UNION ALL SELECT 'core', count(*) FROM (SELECT * FROM g EXCEPT SELECT * FROM f) UNION ALL SELECT 'full', count(*) FROM (SELECT * FROM f EXCEPT SELECT * FROM g)")
@@ -57,13 +57,13 @@ def edge_set_ops(spark, d):
 
 
 def _hops(spark, d, first: int) -> DataFrame:
-    roots = s0(spark, d).where(F.col("id") >= first).select("grp", F.col("id").alias("root"))
+    roots = star(spark, d).where(F.col("id") % 300 >= first).select("grp", F.col("id").alias("root"))
     return N.hop_distances(_core_graph(spark, d), roots).withColumn("d_geo", F.col("hops").cast("double"))
 
 
 @query(_WALKED.format(first=290) + " SELECT id, max(hops) AS far FROM h GROUP BY id")
 def star_max_path(spark, d):
-    """The longest of the shortest paths to ten landmarks."""
+    """The longest of the shortest paths to ten landmarks of the sample."""
     return _hops(spark, d, 290).groupBy("id").agg(F.max("hops").alias("far"))
 
 
@@ -77,10 +77,10 @@ def star_membership(spark, d):
     return R.softmax(_hops(spark, d, 297)).select("id", "root", F.round("p", 6).alias("p"))
 
 
-@query(f"WITH {PAIRS}, {CORE_SQL}, {_SIGNAL}, l AS (SELECT u, v, least(a.value, b.value) AS level, sqrt(greatest(d2, x.c2, y.c2)) / 1e4 AS w FROM graph JOIN e a ON a.id = u JOIN e b ON b.id = v JOIN core x ON x.id = u JOIN core y ON y.id = v), m AS (SELECT u AS p, level, w FROM l UNION ALL SELECT v, level, w FROM l) SELECT round(max(abs(f.level - g.level) / f.w), 6) AS constant FROM m f JOIN m g USING (p) WHERE f.w > 0")
+@query(f"WITH {PAIRS}, {CORE_SQL}, {_SIGNAL}, l AS (SELECT u, v, least(a.value, b.value) AS level, sqrt(greatest(d2, x.c2, y.c2)) / 1e4 AS w FROM graph JOIN e a ON a.id = u JOIN e b ON b.id = v JOIN core x ON x.id = u JOIN core y ON y.id = v), m AS (SELECT u AS p, level, w FROM l UNION ALL SELECT v, level, w FROM l) SELECT CAST(sample AS VARCHAR) AS grp, round(max(abs(f.level - g.level) / f.w), 6) AS constant FROM m f JOIN m g USING (p) JOIN s ON s.id = p WHERE f.w > 0 GROUP BY sample")
 def edge_lipschitz(spark, d):
     e = N.level_edges(_core_graph(spark, d), _signal(spark, d)).withColumn("w", F.col("w") / 1e4)
-    return M.lipschitz(e).select(F.round("constant", 6).alias("constant"))
+    return M.lipschitz(e).select("grp", F.round("constant", 6).alias("constant"))
 
 
 @query("SELECT CAST(2 AS DOUBLE) AS slope, CAST(0.5 AS DOUBLE) AS bend, CAST(10 AS BIGINT) AS sizes")
@@ -94,20 +94,20 @@ def scaling_fit(spark, d):
 
 def _near(spark, d) -> tuple[DataFrame, DataFrame]:
     """The signal, and pairs within 1.5, in the signal's unit."""
-    p = s0(spark, d)
+    p = star(spark, d)
     pairs = Y.radius_pairs(p, p.select("grp").distinct().withColumn("reach", F.lit(15000.0)))
     return _signal(spark, d), materialise(pairs.withColumn("d", F.col("d") / 1e4), "near")
 
 
-@query(f"WITH RECURSIVE {PAIRS}, {_SIGNAL}, t(k) AS (VALUES (0.25::DOUBLE), (0.5::DOUBLE), (1.0::DOUBLE), (1.5::DOUBLE)), n AS (SELECT k, id FROM e, t WHERE greatest((12 - value) / 10, 0) <= k), l AS (SELECT k, pairs.id AS u, nbr AS v FROM pairs, t JOIN n USING (k) JOIN n o USING (k) WHERE n.id = pairs.id AND o.id = nbr AND sqrt(d2) / 1e4 <= k), {_REACHED} SELECT k AS at, count(DISTINCT component) AS components FROM c GROUP BY k")
+@query(f"WITH RECURSIVE {PAIRS}, {_SIGNAL}, t(k) AS (VALUES (0.25::DOUBLE), (0.5::DOUBLE), (1.0::DOUBLE), (1.5::DOUBLE)), n AS (SELECT k, id FROM e, t WHERE greatest((12 - value) / 10, 0) <= k), l AS (SELECT k, pairs.id AS u, nbr AS v FROM pairs, t JOIN n USING (k) JOIN n o USING (k) WHERE n.id = pairs.id AND o.id = nbr AND sqrt(d2) / 1e4 <= k), {_REACHED} SELECT CAST(sample AS VARCHAR) AS grp, k AS at, count(DISTINCT component) AS components FROM c JOIN s USING (id) GROUP BY sample, k")
 def star_slice(spark, d):
     """One line through the two-parameter filtration."""
     signal, near = _near(spark, d)
     got = Y.slice_components(signal, near, 10.0, 12.0, [0.25, 0.5, 1.0, 1.5])
-    return got.where("components > 0").select("at", "components")
+    return got.where("components > 0").select("grp", "at", "components")
 
 
-@query(f"WITH RECURSIVE {PAIRS}, {_SIGNAL}, span AS (SELECT min(value) AS low, (max(value) - min(value)) / 6 AS wide FROM e), n AS (SELECT k, id FROM e, span, range(6) t(k) WHERE k BETWEEN greatest(floor((value - low) / wide - 0.15), 0) AND least(floor((value - low) / wide + 0.15), 5) OR (k = 5 AND floor((value - low) / wide - 0.15) >= 5)), l AS (SELECT n.k, pairs.id AS u, nbr AS v FROM pairs JOIN n ON n.id = pairs.id JOIN n o ON o.id = nbr AND o.k = n.k WHERE sqrt(d2) / 1e4 <= 1.5), {_REACHED} SELECT k AS bin, component, count(*) AS size FROM c GROUP BY ALL")
+@query(f"WITH RECURSIVE {PAIRS}, {_SIGNAL}, span AS (SELECT sample, min(value) AS low, (max(value) - min(value)) / 6 AS wide FROM e GROUP BY sample), n AS (SELECT k, id FROM e JOIN span USING (sample), range(6) t(k) WHERE k BETWEEN greatest(floor((value - low) / wide - 0.15), 0) AND least(floor((value - low) / wide + 0.15), 5) OR (k = 5 AND floor((value - low) / wide - 0.15) >= 5)), l AS (SELECT n.k, pairs.id AS u, nbr AS v FROM pairs JOIN n ON n.id = pairs.id JOIN n o ON o.id = nbr AND o.k = n.k WHERE sqrt(d2) / 1e4 <= 1.5), {_REACHED} SELECT k AS bin, component, count(*) AS size FROM c GROUP BY ALL")
 def star_nerve(spark, d):
     return Y.nerve(*_near(spark, d), bins=6, overlap=0.3)[0].select("bin", "component", "size")
 
@@ -117,10 +117,10 @@ def star_level_sets(spark, d):
     return Y.level_sets(*_near(spark, d), width=3.0)[0].select("band", "component", "size")
 
 
-@query(f"WITH RECURSIVE {PAIRS}, n AS (SELECT 0 AS k, id FROM core WHERE c2 <= (SELECT quantile_cont(sqrt(c2), 0.84) FROM core) ** 2 * (1 + 1e-12)), l AS (SELECT 0 AS k, id AS u, nbr AS v FROM pairs WHERE d2 <= 25000000 AND id IN (SELECT id FROM n) AND nbr IN (SELECT id FROM n)), {_REACHED}, z AS (SELECT component, count(*) AS m FROM c GROUP BY 1 ORDER BY m DESC, component LIMIT 1) SELECT id FROM c JOIN z USING (component)")
+@query(f"WITH RECURSIVE {PAIRS}, cut AS (SELECT sample, quantile_cont(sqrt(c2), 0.84) AS most FROM core JOIN s USING (id) GROUP BY sample), n AS (SELECT 0 AS k, id FROM core JOIN s USING (id) JOIN cut USING (sample) WHERE c2 <= most ** 2 * (1 + 1e-12)), l AS (SELECT 0 AS k, id AS u, nbr AS v FROM pairs WHERE d2 <= 25000000 AND id IN (SELECT id FROM n) AND nbr IN (SELECT id FROM n)), {_REACHED}, z AS (SELECT component FROM (SELECT sample, component, count(*) AS m FROM c JOIN s USING (id) GROUP BY ALL) QUALIFY row_number() OVER (PARTITION BY sample ORDER BY m DESC, component) = 1) SELECT id FROM c JOIN z USING (component)")
 def star_largest_component(spark, d):
-    p = s0(spark, d)
-    kept = materialise(Y.dense_part(N.core_distance(s0_knn(spark, d), 5), 0.84), "dense")
+    p = star(spark, d)
+    kept = materialise(Y.dense_part(N.core_distance(star_nn(spark, d), 5), 0.84), "dense")
     near = Y.radius_pairs(p.join(kept, ["grp", "id"], "left_semi"), p.select("grp").distinct().withColumn("reach", F.lit(5000.0)))
     return Y.largest_component(near, kept).select("id")
 
@@ -154,9 +154,9 @@ def star_tree_stats(spark, d):
 
 @query()
 def star_distortion(spark, d):
-    """Path length along the core graph over direct distance, from three landmarks."""
-    p, g = s0(spark, d), _core_graph(spark, d)
-    roots = p.where("id >= 297").select("grp", F.col("id").alias("root"))
+    """Path length along the core graph over direct distance, from three landmarks of each sample."""
+    p, g = star(spark, d), _core_graph(spark, d)
+    roots = p.where("id % 300 >= 297").select("grp", F.col("id").alias("root"))
     return M.distortion(M.path_lengths(g.select("grp", "u", "v", F.col("d").alias("w")), roots), p)
 
 
@@ -235,7 +235,7 @@ def grouping_sets_groups(spark, d):
 
 @query(f"WITH {PAIRS} SELECT DISTINCT id FROM pairs WHERE d2 <= 1000000")
 def semi_connected_points(spark, d):
-    p = s0(spark, d)
+    p = star(spark, d)
     near = Y.radius_pairs(p, p.select("grp").distinct().withColumn("reach", F.lit(1000.0)))
     return p.select("id").join(near.select(F.explode(F.array("u", "v")).alias("id")), "id", "left_semi")
 

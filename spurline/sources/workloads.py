@@ -111,32 +111,33 @@ def walk_sql(dims: int = 2, steps: int = 50) -> str:
 
 
 def tree_points(orders: DataFrame, noise: float = 0.05) -> DataFrame:
-    """A trunk that splits in two, with five and six arms: ``(grp, id, part, x)`` in three dimensions over 1500 orders."""
+    """A trunk that splits in two, with five and six arms: ``(grp, id, part, x)`` in three dimensions, a tree for every 1500 order keys."""
     m, phase = _noise()
     day = F.datediff("o_orderdate", F.lit("1970-01-01").cast("date")).cast("double")
     other = PI2 * _frac(day * PHASES[1])
-    part, t = F.col("o_orderkey") % 13, F.floor(F.col("o_orderkey") / 13) / 115.0
+    at = F.col("o_orderkey") % 1500
+    part, t = at % 13, F.floor(at / 13) / 115.0
     left, right = (F.col("part") >= 2) & (F.col("part") <= 6), F.col("part") > 6
     azimuth = F.when(left, PI2 * (F.col("part") - 2) / 5).otherwise(PI2 * (F.col("part") - 7) / 6)
     length, out = 6.0 * F.col("t"), F.when(left, -1.0).otherwise(1.0)
     arm = left | right
     x = F.when(arm, out * (4.0 + length * math.cos(0.9))).when(F.col("part") == 0, -4.0 * F.col("t")).otherwise(4.0 * F.col("t"))
     y, z = (F.when(arm, length * math.sin(0.9) * f(azimuth)).otherwise(0.0) for f in (F.cos, F.sin))
-    df = orders.where("o_orderkey < 1500").select(F.col("o_orderkey").alias("id"), part.cast("int").alias("part"), t.alias("t"), (noise * m).alias("s"), phase.alias("a"), other.alias("b"))
-    return df.select(F.lit("tree").alias("grp"), "id", "part", F.array(x + F.col("s") * F.cos("a"), y + F.col("s") * F.sin("a"), z + F.col("s") * F.cos("b")).alias("x"))
+    df = orders.select(F.concat_ws("/", F.lit("tree"), F.floor(F.col("o_orderkey") / 1500)).alias("grp"), F.col("o_orderkey").alias("id"), part.cast("int").alias("part"), t.alias("t"), (noise * m).alias("s"), phase.alias("a"), other.alias("b"))
+    return df.select("grp", "id", "part", F.array(x + F.col("s") * F.cos("a"), y + F.col("s") * F.sin("a"), z + F.col("s") * F.cos("b")).alias("x"))
 
 
 def horseshoe_points(customer: DataFrame) -> DataFrame:
-    """150 customers bent to a core and two arms, each axis z-scored: ``(grp, id, part, x)``."""
+    """Every 150 customer keys bent to a core and two arms, each axis z-scored: ``(grp, id, part, x)``. A constant axis is zero."""
     u = F.least(F.greatest((F.col("c_acctbal") + 1000.0) / 11000.0, F.lit(1e-9)), F.lit(1.0))
     key = F.col("c_custkey").cast("double")
-    df = customer.where("c_custkey < 150").select(F.col("c_custkey").alias("id"), (F.col("c_custkey") % 5).alias("k"), (F.floor(F.col("c_custkey") / 5) / 30.0).alias("t"), F.sqrt(-2.0 * F.log(u)).alias("m"), (PI2 * _frac(key * PHASES[0])).alias("a"), (PI2 * _frac(key * PHASES[1])).alias("b"))
+    df = customer.select(F.concat_ws("/", F.lit("horseshoe"), F.floor(F.col("c_custkey") / 150)).alias("grp"), F.col("c_custkey").alias("id"), (F.col("c_custkey") % 5).alias("k"), (F.floor(F.col("c_custkey") % 150 / 5) / 30.0).alias("t"), F.sqrt(-2.0 * F.log(u)).alias("m"), (PI2 * _frac(key * PHASES[0])).alias("a"), (PI2 * _frac(key * PHASES[1])).alias("b"))
     part = F.when(F.col("k") < 3, "core").when(F.col("k") == 3, "left").otherwise("right")
     far = 6.0 * F.pow("t", 1.5)
-    base = df.select("id", part.alias("part"), (F.when(F.col("k") < 3, 0.5).otherwise(0.25) * F.col("m")).alias("s"), "a", "b", F.when(F.col("k") == 3, far).when(F.col("k") == 4, -0.5 * F.col("t")).otherwise(0.0).alias("x0"), F.when(F.col("k") == 3, 2.0 * F.col("t")).when(F.col("k") == 4, far).otherwise(0.0).alias("x1"), F.when(F.col("k") == 4, 3.0 * F.col("t")).otherwise(0.0).alias("x2"))
-    raw = base.select("id", "part", (F.col("x0") + F.col("s") * F.cos("a")).alias("x0"), (F.col("x1") + F.col("s") * F.sin("a")).alias("x1"), (F.col("x2") + F.col("s") * F.cos("b")).alias("x2"))
-    stats = raw.agg(*[f(f"x{i}").alias(f"{n}{i}") for i in range(3) for f, n in ((F.avg, "m"), (F.stddev_pop, "d"))])
-    return raw.crossJoin(F.broadcast(stats)).select(F.lit("horseshoe").alias("grp"), "id", "part", F.array(*[(F.col(f"x{i}") - F.col(f"m{i}")) / F.col(f"d{i}") for i in range(3)]).alias("x"))
+    base = df.select("grp", "id", part.alias("part"), (F.when(F.col("k") < 3, 0.5).otherwise(0.25) * F.col("m")).alias("s"), "a", "b", F.when(F.col("k") == 3, far).when(F.col("k") == 4, -0.5 * F.col("t")).otherwise(0.0).alias("x0"), F.when(F.col("k") == 3, 2.0 * F.col("t")).when(F.col("k") == 4, far).otherwise(0.0).alias("x1"), F.when(F.col("k") == 4, 3.0 * F.col("t")).otherwise(0.0).alias("x2"))
+    raw = base.select("grp", "id", "part", (F.col("x0") + F.col("s") * F.cos("a")).alias("x0"), (F.col("x1") + F.col("s") * F.sin("a")).alias("x1"), (F.col("x2") + F.col("s") * F.cos("b")).alias("x2"))
+    stats = raw.groupBy("grp").agg(*[f(f"x{i}").alias(f"{n}{i}") for i in range(3) for f, n in ((F.avg, "m"), (F.stddev_pop, "d"))])
+    return raw.join(stats, "grp").select("grp", "id", "part", F.array(*[F.when(F.col(f"d{i}") > 0, (F.col(f"x{i}") - F.col(f"m{i}")) / F.col(f"d{i}")).otherwise(0.0) for i in range(3)]).alias("x"))
 
 
 def _double(x: float) -> str:
