@@ -31,7 +31,7 @@ FORMATS = {
     "private_key": r"-----BEGIN [A-Z ]{0,24}PRIVATE KEY-----(?:[0-9A-Za-z+/=\s]*-----END [A-Z ]{0,24}PRIVATE KEY-----)?",
 }
 _known = re.compile("|".join(f"(?P<{k}>{v})" for k, v in FORMATS.items())).finditer
-_assigned = re.compile(r"\b(?P<name>[0-9A-Za-z_.-]*(?:token|secret|passw(?:or)?d|pwd|api[_-]?key|apikey|credential|auth|private[_-]?key)[0-9A-Za-z_-]*)[\"']?\s{0,4}[:=]{1,2}>?\s{0,4}[\"'`]?(?P<value>[^\s\"'`,;<>(){}]{8,512})", re.IGNORECASE).finditer
+_assigned = re.compile(r"\b(?P<name>[0-9A-Za-z_.-]*(?:token|secret|passw(?:or)?d|pwd|api[_-]?key|apikey|credential|auth|private[_-]?key)[0-9A-Za-z_-]*)[\"']?\s{0,4}[:=]{1,2}>?\s{0,4}[\"'`]?(?P<value>[^\s\"'`,;<>(){}]{8,})", re.IGNORECASE).finditer
 _assigning = re.compile(r"(?:token|secret|passw|pwd|key|credential|auth)", re.IGNORECASE).search
 _run = re.compile(r"[0-9A-Za-z+/_=-]{24,}").finditer
 _beside = re.compile(r"[a-z]+").findall

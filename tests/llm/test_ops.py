@@ -146,6 +146,16 @@ def test_op5_redacts(spark):
     assert secret_scan.scan_documents(df.limit(0)).collect() == []
 
 
+def test_op5_long_values(spark):
+    """A value of any length is one finding up to its end, and no part of it stays in the text."""
+    rng, letters = random.Random(3), "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/"
+    value = {n: "".join(rng.choices(letters, k=n)) for n in (512, 513, 900, 7000)}
+    df = spark.createDataFrame([(n, f'api_key = "{v}" end') for n, v in value.items()], "doc_id long, text string")
+    got = {(r.doc_id, r.start, r.end, r.is_secret, r.value_sha256) for r in secret_scan.scan_documents(df).collect()}
+    assert got == {(n, 11, 11 + n, True, hashlib.sha256(v.encode()).hexdigest()) for n, v in value.items()}
+    assert {r.text for r in secret_scan.redact(df).collect()} == {'api_key = "[SECRET]" end'}
+
+
 def slow_counts(text):
     import re
 
