@@ -1,6 +1,7 @@
 """Graph summaries, measures and stored models against small definitions."""
 
 import dataclasses
+from collections import Counter
 from itertools import permutations
 
 import numpy as np
@@ -181,3 +182,47 @@ def test_larger_scale(spark, sf, name):
     from spurline.queries import ORACLES
 
     assert same(QUERIES[name](spark, sf), ORACLES[name], sf) > 0
+
+
+def pair_counting_ari(a, b):
+    pairs = lambda xs: sum(n * (n - 1) / 2 for n in Counter(xs).values())
+    both, one, two, every = pairs(zip(a, b, strict=True)), pairs(a), pairs(b), len(a) * (len(a) - 1) / 2
+    most, chance = (one + two) / 2, one * two / every
+    return 1.0 if most == chance else (both - chance) / (most - chance)
+
+
+@pytest.fixture(scope="module")
+def late_orders(spark, tmp_path_factory):
+    """Sixty orders of one sample, with keys behind the first thousands, and their hundred clouds."""
+    d = tmp_path_factory.mktemp("late")
+    spark.read.parquet(ORDERS).where("o_orderkey < 60").withColumn("o_orderkey", F.col("o_orderkey") + 3435).coalesce(1).write.parquet(f"{d}/orders.parquet")
+    shapes = [(a, b, W.lengths(a), W.noises(b)) for a in range(10) for b in range(10)]
+    clouds = {}
+    for r in W.star_grid(spark.read.parquet(f"{d}/orders.parquet"), shapes).orderBy("grp", "id").collect():
+        clouds.setdefault((r.j_l, r.j_n), []).append((r.arm, r.x))
+    assert len(clouds) == 100
+    return str(d), {k: ([arm for arm, _ in v], np.array([x for _, x in v])) for k, v in clouds.items()}
+
+
+def test_star_heatmap_reads_every_order(spark, late_orders):
+    d, clouds = late_orders
+    got = {(r.method, r.j_l, r.j_n): (r.ari, r.clouds) for r in QUERIES["star_heatmap"](spark, d).collect()}
+    dense = BranchParams(min_samples=5, min_cluster_size=8, cluster_selection="leaf")
+    for (a, b), (arm, x) in clouds.items():
+        m = K.density(x, BEST)
+        assert got["branches", a, b] == (pytest.approx(pair_counting_ari(arm, K.combine(m, K.branches(x, m, BEST), BEST)["label"].tolist())), 1)
+        assert got["density", a, b] == (pytest.approx(pair_counting_ari(arm, K.density(x, dense).label.tolist())), 1)
+        assert got["kmeans", a, b][1] == 1
+    assert got[None, None, None][1] == 300
+
+
+def test_star_branch_grid_takes_every_order_and_shape(spark, late_orders):
+    d, clouds = late_orders
+    got = QUERIES["star_branch_grid"](spark, d).collect()
+    assert len(got) == 48 and [-r.ari for r in got] == sorted(-r.ari for r in got)
+    for r in [r for r in got if r.m_b in (2, 12, 24)]:
+        p, every = dataclasses.replace(BEST, graph=r.graph, branch_selection=r.selection, min_branch_size=r.m_b), []
+        for arm, x in clouds.values():
+            m = K.density(x, p)
+            every.append(pair_counting_ari(arm, K.combine(m, K.branches(x, m, p), p)["label"].tolist()))
+        assert r.ari == pytest.approx(np.mean(every))
