@@ -68,6 +68,25 @@ def test_op2_mined_rules_fire(spark):
     assert {r.mined_rule for r in got} == {None, "host2:casino"}
 
 
+def test_op2_rules_of_many_tokens(spark):
+    """Only four tokens together reach the confidence: every three of them are met by more rows that are fine."""
+    from itertools import product
+
+    from spurline.llm import urls
+
+    parts = (("com", "net"), ("shop", "blog"), ("www", "cdn"), ("de", "fr"))
+    rows, taught = [], []
+    for choice in product((0, 1), repeat=4):
+        for _ in range(40):
+            top, name, sub, lang = (part[c] for part, c in zip(parts, choice, strict=True))
+            taught.append((len(rows), sum(choice) == 0))
+            rows.append((len(rows), f"http://{sub}.{name}.{top}/{lang}/{len(rows)}"))
+    df = spark.createDataFrame(rows, "page_id long, url string")
+    got = urls.judge_urls(df, spark.createDataFrame(taught, "page_id long, blocked boolean")).collect()
+    assert {r.mined_rule for r in got if r.page_id < 40} == {"host0:com + host1:shop + host2:www + path0:de"}
+    assert {r.mined_rule for r in got if r.page_id >= 40} == {None}
+
+
 def test_op3_odd_rows(spark):
     rows = [(1, 0, "user", None), (1, 1, None, "<|turn|>\\<s>[/INST]"), (1, 1, "assistant", "a<|end|>\n"), (1, 1, "assistant", "a<|end|>\n"), (None, None, "assistant", ""), (2, 5, "assi\nstant\\", "é")]
     df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").selectExpr("*", "1 as offset", "'f' as formatted")
