@@ -302,6 +302,20 @@ def test_op9_odd_rows(spark):
     assert scan_licenses(df.limit(0)).collect() == []
 
 
+def test_op9_common_licences_and_notices_inside_lines(spark):
+    from spurline.llm.licenses import TEMPLATES, scan_licenses
+
+    prose = "some words of plain prose that say nothing about it "
+    inside = prose + "Licensed under the Apache License, Version 2.0. " + prose * 30 + TEMPLATES["bsd-3-clause"] + " " + prose + "(c) Nobody. All rights reserved. " + prose
+    names = sorted(TEMPLATES)
+    rows = [(i, TEMPLATES[k].upper()) for i, k in enumerate(names)] + [(100, inside), (101, prose * 40), (102, prose + "the license of the software, all conditions reserved " + prose)]
+    got = {}
+    for r in scan_licenses(spark.createDataFrame(rows, "doc_id long, text string")).collect():
+        got.setdefault(r.doc_id, set()).add((r.unit, r.license, r.dice))
+    assert {"bsd-2-clause", "bsd-3-clause", "isc", "mpl-2.0", "lgpl-2.1-header", "agpl-3.0-header", "mit-full", "gpl-warranty"} <= set(names)
+    assert got == {**{i: {("line", k, 1.0)} for i, k in enumerate(names)}, 100: {("passage", k, 1.0) for k in ("apache-2.0", "bsd-3-clause", "reserved")}}
+
+
 def slow_print(text):
     import re
 
