@@ -324,9 +324,8 @@ def star_core_forest(spark, d):
 
 @query()
 def walk_branches(spark, d):
-    p = W.walk_points(table(spark, d, "events"))
-    groups = p.withColumn("grp", F.floor(F.col("start") / 3).cast("string"))
-    return C.branch_clusters(groups, BranchParams(min_samples=10, min_cluster_size=100, min_branch_size=20, allow_single_cluster=True))
+    """All walks as one cloud; a cloud over the kernel's points raises."""
+    return C.branch_clusters(W.walk_points(table(spark, d, "events")), BranchParams(min_samples=10, min_cluster_size=100, min_branch_size=20, allow_single_cluster=True))
 
 
 @query()

@@ -226,3 +226,21 @@ def test_star_branch_grid_takes_every_order_and_shape(spark, late_orders):
             m = K.density(x, p)
             every.append(pair_counting_ari(arm, K.combine(m, K.branches(x, m, p), p)["label"].tolist()))
         assert r.ari == pytest.approx(np.mean(every))
+
+
+@pytest.mark.parametrize("name", ["profile_branches", "walk_branches"])
+def test_one_data_set_is_one_cloud(spark, tmp_path, name):
+    """Labels of the whole cloud, as the kernel gives them without groups."""
+    d = "/root/testdata/sf0.001"
+    if name == "walk_branches":
+        d = str(tmp_path)
+        spark.read.parquet("/root/testdata/sf0.01/events.parquet").where("user_id < 30").coalesce(1).write.parquet(f"{d}/events.parquet")
+        points, p = W.walk_points(spark.read.parquet(f"{d}/events.parquet")), BranchParams(min_samples=10, min_cluster_size=100, min_branch_size=20, allow_single_cluster=True)
+    else:
+        points, p = W.profile_points(spark.read.parquet(f"{d}/customer.parquet"), spark.read.parquet(ORDERS)), BranchParams(min_samples=5, min_cluster_size=100, min_branch_size=5, allow_single_cluster=True)
+    rows = points.select("id", "x").orderBy("id").collect()
+    x = np.array([r.x for r in rows])
+    m = K.density(x, p)
+    want = dict(zip([r.id for r in rows], K.combine(m, K.branches(x, m, p), p)["label"].tolist(), strict=True))
+    got = QUERIES[name](spark, d).collect()
+    assert len({r.grp for r in got}) == 1 and {r.id: r.label for r in got} == want
