@@ -74,6 +74,15 @@ def density_clusters(points: DataFrame, p: BranchParams = BranchParams()) -> Dat
     return per_group(points, "grp string, id long, label int, strength double, core double", make)
 
 
+def density_grid(points: DataFrame, settings: list[BranchParams]) -> DataFrame:
+    """``(grp, id, label, setting)`` of the density clusters under many settings, with their place in the list."""
+    def make(x, ids):
+        out = [pd.DataFrame({"id": ids, "label": K.density(x, p).label, "setting": i}) for i, p in enumerate(settings)]
+        return {c: pd.concat(out)[c].to_numpy() for c in out[0].columns}
+
+    return per_group(points, "grp string, id long, label int, setting int", make)
+
+
 def memberships(points: DataFrame, p: BranchParams = BranchParams()) -> DataFrame:
     """``(grp, id, cluster, branch, d_geo, p, weighted)``: softmax memberships of every point in each branch of its cluster."""
     def make(x, ids):

@@ -291,6 +291,16 @@ def star_branch_grid(spark, d):
     return C.adjusted_rand(found, "arm", "label", ("grp", "setting")).groupBy("setting").agg(F.avg("ari").alias("ari")).select("setting", F.get(names, F.col("setting")).alias("p"), "ari").select("setting", "p.*", "ari").orderBy(F.desc("ari"), "setting")
 
 
+@query()
+def star_density_grid(spark, d):
+    """The parameter grid of the density baseline over all samples of the hundred shapes, best setting first by mean ARI."""
+    settings = [dataclasses.replace(LEAF_DENSITY, cluster_selection=s, min_cluster_size=m) for s in ("eom", "leaf") for m in range(2, 25, 2)]
+    p = materialise(W.star_grid(table(spark, d, "orders"), _GRID), "grid")
+    found = C.density_grid(p, settings).join(p.select("grp", "id", "arm"), ["grp", "id"])
+    names = F.array(*[F.struct(F.lit(s.cluster_selection).alias("selection"), F.lit(s.min_cluster_size).alias("m_c")) for s in settings])
+    return C.adjusted_rand(found, "arm", "label", ("grp", "setting")).groupBy("setting").agg(F.avg("ari").alias("ari")).select("setting", F.get(names, F.col("setting")).alias("p"), "ari").select("setting", "p.*", "ari").orderBy(F.desc("ari"), "setting")
+
+
 @query()
 def star_memberships_full(spark, d):
     return C.memberships(W.star_points(table(spark, d, "orders")), BEST)

@@ -228,6 +228,16 @@ def test_star_branch_grid_takes_every_order_and_shape(spark, late_orders):
         assert r.ari == pytest.approx(np.mean(every))
 
 
+def test_star_density_grid(spark, late_orders):
+    d, clouds = late_orders
+    got = QUERIES["star_density_grid"](spark, d).collect()
+    assert {(r.selection, r.m_c) for r in got} == {(s, m) for s in ("eom", "leaf") for m in range(2, 25, 2)} and len(got) == 24
+    assert [-r.ari for r in got] == sorted(-r.ari for r in got)
+    for r in [r for r in got if r.m_c in (2, 8, 24)]:
+        p = BranchParams(min_samples=5, min_cluster_size=r.m_c, cluster_selection=r.selection)
+        assert r.ari == pytest.approx(np.mean([pair_counting_ari(arm, K.density(x, p).label.tolist()) for arm, x in clouds.values()]))
+
+
 @pytest.mark.parametrize("name", ["profile_branches", "walk_branches"])
 def test_one_data_set_is_one_cloud(spark, tmp_path, name):
     """Labels of the whole cloud, as the kernel gives them without groups."""
