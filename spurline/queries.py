@@ -22,8 +22,8 @@ QUERIES, ORACLES = {}, {}
 BEST = BranchParams(min_samples=5, min_cluster_size=25, min_branch_size=12, allow_single_cluster=True, branch_selection="leaf", central_labels="geodesic")
 LEAF_DENSITY = BranchParams(min_samples=5, min_cluster_size=8, cluster_selection="leaf")
 STAR_SQL = W.star_sql()
-PAIRS = f"s AS ({STAR_SQL}), pairs AS (SELECT a.id AS id, b.id AS nbr, (a.px - b.px) * (a.px - b.px) + (a.py - b.py) * (a.py - b.py) AS d2 FROM s a JOIN s b ON a.sample = b.sample AND a.id <> b.id), ranked AS (SELECT *, rank() OVER (PARTITION BY id ORDER BY d2) AS rank FROM pairs), knn AS (SELECT * FROM ranked WHERE rank <= 5), core AS (SELECT id, max(d2) AS c2 FROM knn GROUP BY id)"
-CORE_SQL = "graph AS (SELECT p.id AS u, p.nbr AS v, p.d2 FROM pairs p JOIN core a ON a.id = p.id JOIN core b ON b.id = p.nbr WHERE p.id < p.nbr AND p.d2 <= greatest(a.c2, b.c2))"
+PAIRS = f"s AS MATERIALIZED ({STAR_SQL}), pairs AS MATERIALIZED (SELECT a.id AS id, b.id AS nbr, (a.px - b.px) * (a.px - b.px) + (a.py - b.py) * (a.py - b.py) AS d2 FROM s a JOIN s b ON a.sample = b.sample AND a.id <> b.id), ranked AS (SELECT *, rank() OVER (PARTITION BY id ORDER BY d2) AS rank FROM pairs), knn AS MATERIALIZED (SELECT * FROM ranked WHERE rank <= 5), core AS MATERIALIZED (SELECT id, max(d2) AS c2 FROM knn GROUP BY id)"
+CORE_SQL = "graph AS MATERIALIZED (SELECT p.id AS u, p.nbr AS v, p.d2 FROM pairs p JOIN core a ON a.id = p.id JOIN core b ON b.id = p.nbr WHERE p.id < p.nbr AND p.d2 <= greatest(a.c2, b.c2))"
 
 
 def query(sql: str | None = None):
@@ -88,17 +88,18 @@ def walk_knn(spark, d):
     return N.knn(pts, 10, side=2000.0).select("id", "nbr", exact(F.col("d")).alias("d2"))
 
 
-@query(f"WITH {PAIRS} SELECT id, round(sqrt(c2), 6) AS core FROM core")
+@query(f"WITH {PAIRS} SELECT id, c2 FROM core")
 def star_core(spark, d):
-    return N.core_distance(star_nn(spark, d), 5).select("id", F.round("core", 6).alias("core"))
+    """Core distances, squared: whole numbers."""
+    return N.core_distance(star_nn(spark, d), 5).select("id", exact(F.col("core")).alias("c2"))
 
 
-@query(f"WITH {PAIRS} SELECT p.id AS u, p.nbr AS v, round(sqrt(greatest(p.d2, a.c2, b.c2)), 6) AS w FROM pairs p JOIN core a ON a.id = p.id JOIN core b ON b.id = p.nbr WHERE p.id < p.nbr")
+@query(f"WITH {PAIRS} SELECT p.id AS u, p.nbr AS v, greatest(p.d2, a.c2, b.c2) AS w2 FROM pairs p JOIN core a ON a.id = p.id JOIN core b ON b.id = p.nbr WHERE p.id < p.nbr")
 def star_reach_edges(spark, d):
     p = star(spark, d)
     both = p.select("grp", F.col("id").alias("u"), F.col("x").alias("a")).join(p.select("grp", F.col("id").alias("v"), F.col("x").alias("b")), "grp").where("u < v")
     edges = both.select("grp", "u", "v", F.sqrt(N.squared(F.col("a"), F.col("b"))).alias("d"))
-    return N.mutual_reach(edges, N.core_distance(star_nn(spark, d), 5)).select("u", "v", F.round("w", 6).alias("w"))
+    return N.mutual_reach(edges, N.core_distance(star_nn(spark, d), 5)).select("u", "v", exact(F.col("w")).alias("w2"))
 
 
 @query(f"WITH {PAIRS}, {CORE_SQL} SELECT u, v, d2 FROM graph")

@@ -21,7 +21,7 @@ from spurline.sources import workloads as W
 from spurline.streaming import windows as S
 
 _WALKED = f"WITH RECURSIVE {PAIRS}, {CORE_SQL}, links AS (SELECT u, v FROM graph UNION ALL SELECT v, u FROM graph), far(root, id, hops) AS (SELECT id, id, 0 FROM s WHERE id % 300 >= {{first}} UNION SELECT far.root, links.v, far.hops + 1 FROM far JOIN links ON links.u = far.id WHERE far.hops < 299), h AS (SELECT root, id, min(hops) AS hops FROM far GROUP BY ALL)"
-_REACHED = "r(k, a, b) AS (SELECT k, id, id FROM n UNION SELECT r.k, r.a, l.v FROM r JOIN l ON l.k = r.k AND l.u = r.b), c AS (SELECT k, a AS id, min(b) AS component FROM r GROUP BY ALL)"
+_REACHED = "c(k, id, component) USING KEY (k, id) AS (SELECT k, id, id FROM n UNION SELECT l.k, l.v, min(c.component) FROM c JOIN l ON l.k = c.k AND l.u = c.id JOIN recurring.c AS o ON o.k = l.k AND o.id = l.v WHERE c.component < o.component GROUP BY l.k, l.v)"
 
 
 def _shape(name: str):
@@ -77,7 +77,7 @@ def star_membership(spark, d):
     return R.softmax(_hops(spark, d, 297)).select("id", "root", F.round("p", 6).alias("p"))
 
 
-@query(f"WITH {PAIRS}, {CORE_SQL}, {_SIGNAL}, l AS (SELECT u, v, least(a.value, b.value) AS level, sqrt(greatest(d2, x.c2, y.c2)) / 1e4 AS w FROM graph JOIN e a ON a.id = u JOIN e b ON b.id = v JOIN core x ON x.id = u JOIN core y ON y.id = v), m AS (SELECT u AS p, level, w FROM l UNION ALL SELECT v, level, w FROM l) SELECT CAST(sample AS VARCHAR) AS grp, round(max(abs(f.level - g.level) / f.w), 6) AS constant FROM m f JOIN m g USING (p) JOIN s ON s.id = p WHERE f.w > 0 GROUP BY sample")
+@query(f"WITH {PAIRS}, {CORE_SQL}, {_SIGNAL}, l AS MATERIALIZED (SELECT u, v, least(a.value, b.value) AS level, sqrt(greatest(d2, x.c2, y.c2)) / 1e4 AS w FROM graph JOIN e a ON a.id = u JOIN e b ON b.id = v JOIN core x ON x.id = u JOIN core y ON y.id = v), m AS (SELECT u AS p, level, w FROM l UNION ALL SELECT v, level, w FROM l) SELECT CAST(sample AS VARCHAR) AS grp, round(max(abs(f.level - g.level) / f.w), 6) AS constant FROM m f JOIN m g USING (p) JOIN s ON s.id = p WHERE f.w > 0 GROUP BY sample")
 def edge_lipschitz(spark, d):
     e = N.level_edges(_core_graph(spark, d), _signal(spark, d)).withColumn("w", F.col("w") / 1e4)
     return M.lipschitz(e).select("grp", F.round("constant", 6).alias("constant"))
@@ -99,7 +99,7 @@ def _near(spark, d) -> tuple[DataFrame, DataFrame]:
     return _signal(spark, d), materialise(pairs.withColumn("d", F.col("d") / 1e4), "near")
 
 
-@query(f"WITH RECURSIVE {PAIRS}, {_SIGNAL}, t(k) AS (VALUES (0.25::DOUBLE), (0.5::DOUBLE), (1.0::DOUBLE), (1.5::DOUBLE)), n AS (SELECT k, id FROM e, t WHERE greatest((12 - value) / 10, 0) <= k), l AS (SELECT k, pairs.id AS u, nbr AS v FROM pairs, t JOIN n USING (k) JOIN n o USING (k) WHERE n.id = pairs.id AND o.id = nbr AND sqrt(d2) / 1e4 <= k), {_REACHED} SELECT CAST(sample AS VARCHAR) AS grp, k AS at, count(DISTINCT component) AS components FROM c JOIN s USING (id) GROUP BY sample, k")
+@query(f"WITH RECURSIVE {PAIRS}, {_SIGNAL}, t(k) AS (VALUES (0.25::DOUBLE), (0.5::DOUBLE), (1.0::DOUBLE), (1.5::DOUBLE)), n AS (SELECT k, id FROM e, t WHERE greatest((12 - value) / 10, 0) <= k), l AS MATERIALIZED (SELECT k, pairs.id AS u, nbr AS v FROM pairs, t JOIN n USING (k) JOIN n o USING (k) WHERE n.id = pairs.id AND o.id = nbr AND sqrt(d2) / 1e4 <= k), {_REACHED} SELECT CAST(sample AS VARCHAR) AS grp, k AS at, count(DISTINCT component) AS components FROM c JOIN s USING (id) GROUP BY sample, k")
 def star_slice(spark, d):
     """One line through the two-parameter filtration."""
     signal, near = _near(spark, d)
@@ -107,17 +107,17 @@ def star_slice(spark, d):
     return got.where("components > 0").select("grp", "at", "components")
 
 
-@query(f"WITH RECURSIVE {PAIRS}, {_SIGNAL}, span AS (SELECT sample, min(value) AS low, (max(value) - min(value)) / 6 AS wide FROM e GROUP BY sample), n AS (SELECT k, id FROM e JOIN span USING (sample), range(6) t(k) WHERE k BETWEEN greatest(floor((value - low) / wide - 0.15), 0) AND least(floor((value - low) / wide + 0.15), 5) OR (k = 5 AND floor((value - low) / wide - 0.15) >= 5)), l AS (SELECT n.k, pairs.id AS u, nbr AS v FROM pairs JOIN n ON n.id = pairs.id JOIN n o ON o.id = nbr AND o.k = n.k WHERE sqrt(d2) / 1e4 <= 1.5), {_REACHED} SELECT k AS bin, component, count(*) AS size FROM c GROUP BY ALL")
+@query(f"WITH RECURSIVE {PAIRS}, {_SIGNAL}, span AS (SELECT sample, min(value) AS low, (max(value) - min(value)) / 6 AS wide FROM e GROUP BY sample), n AS (SELECT k, id FROM e JOIN span USING (sample), range(6) t(k) WHERE k BETWEEN greatest(floor((value - low) / wide - 0.15), 0) AND least(floor((value - low) / wide + 0.15), 5) OR (k = 5 AND floor((value - low) / wide - 0.15) >= 5)), l AS MATERIALIZED (SELECT n.k, pairs.id AS u, nbr AS v FROM pairs JOIN n ON n.id = pairs.id JOIN n o ON o.id = nbr AND o.k = n.k WHERE sqrt(d2) / 1e4 <= 1.5), {_REACHED} SELECT k AS bin, component, count(*) AS size FROM c GROUP BY ALL")
 def star_nerve(spark, d):
     return Y.nerve(*_near(spark, d), bins=6, overlap=0.3)[0].select("bin", "component", "size")
 
 
-@query(f"WITH RECURSIVE {PAIRS}, {_SIGNAL}, n AS (SELECT CAST(floor(value / 3) AS BIGINT) AS k, id FROM e), l AS (SELECT n.k, pairs.id AS u, nbr AS v FROM pairs JOIN n ON n.id = pairs.id JOIN n o ON o.id = nbr AND o.k = n.k WHERE sqrt(d2) / 1e4 <= 1.5), {_REACHED} SELECT k AS band, component, count(*) AS size FROM c GROUP BY ALL")
+@query(f"WITH RECURSIVE {PAIRS}, {_SIGNAL}, n AS (SELECT CAST(floor(value / 3) AS BIGINT) AS k, id FROM e), l AS MATERIALIZED (SELECT n.k, pairs.id AS u, nbr AS v FROM pairs JOIN n ON n.id = pairs.id JOIN n o ON o.id = nbr AND o.k = n.k WHERE sqrt(d2) / 1e4 <= 1.5), {_REACHED} SELECT k AS band, component, count(*) AS size FROM c GROUP BY ALL")
 def star_level_sets(spark, d):
     return Y.level_sets(*_near(spark, d), width=3.0)[0].select("band", "component", "size")
 
 
-@query(f"WITH RECURSIVE {PAIRS}, cut AS (SELECT sample, quantile_cont(sqrt(c2), 0.84) AS most FROM core JOIN s USING (id) GROUP BY sample), n AS (SELECT 0 AS k, id FROM core JOIN s USING (id) JOIN cut USING (sample) WHERE c2 <= most ** 2 * (1 + 1e-12)), l AS (SELECT 0 AS k, id AS u, nbr AS v FROM pairs WHERE d2 <= 25000000 AND id IN (SELECT id FROM n) AND nbr IN (SELECT id FROM n)), {_REACHED}, z AS (SELECT component FROM (SELECT sample, component, count(*) AS m FROM c JOIN s USING (id) GROUP BY ALL) QUALIFY row_number() OVER (PARTITION BY sample ORDER BY m DESC, component) = 1) SELECT id FROM c JOIN z USING (component)")
+@query(f"WITH RECURSIVE {PAIRS}, cut AS (SELECT sample, quantile_cont(sqrt(c2), 0.84) AS most FROM core JOIN s USING (id) GROUP BY sample), n AS (SELECT 0 AS k, id FROM core JOIN s USING (id) JOIN cut USING (sample) WHERE c2 <= most ** 2 * (1 + 1e-12)), l AS MATERIALIZED (SELECT 0 AS k, id AS u, nbr AS v FROM pairs WHERE d2 <= 25000000 AND id IN (SELECT id FROM n) AND nbr IN (SELECT id FROM n)), {_REACHED}, z AS (SELECT component FROM (SELECT sample, component, count(*) AS m FROM c JOIN s USING (id) GROUP BY ALL) QUALIFY row_number() OVER (PARTITION BY sample ORDER BY m DESC, component) = 1) SELECT id FROM c JOIN z USING (component)")
 def star_largest_component(spark, d):
     p = star(spark, d)
     kept = materialise(Y.dense_part(N.core_distance(star_nn(spark, d), 5), 0.84), "dense")
