@@ -7,7 +7,7 @@ from spurline.llm.licenses import TEMPLATES
 _TRANSLATE = "translate({0}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 
 OP2 = rf"""
-WITH base AS (
+WITH RECURSIVE base AS (
   SELECT page_id, url,
     {_TRANSLATE.format("coalesce(regexp_extract(url, '(?s)^.*?://([^/?#]*)', 1), '')")} AS host,
     coalesce(regexp_extract(url, '(?s)^.*?://[^/?#]*([^?#]*)', 1), '') AS path
@@ -28,14 +28,13 @@ tokens AS (
     UNION ALL SELECT page_id, 'scheme:' || lower(regexp_extract(url, '(?s)^([A-Za-z]+)://', 1)) FROM base WHERE contains(coalesce(url, ''), '://')
     UNION ALL SELECT page_id, 'ending:' || regexp_extract(path, '\.(\w+)$', 1) FROM base WHERE contains(coalesce(url, ''), '://'))
   WHERE NOT ends_with(token, ':')),
-taught AS (SELECT doc_id AS page_id, bool_or(quality = 0 OR toxic = 1) AS blocked FROM labels WHERE doc_id IN (SELECT page_id FROM tokens) GROUP BY doc_id HAVING bool_or(quality = 0 OR toxic = 1) IS NOT NULL),
-need AS (SELECT greatest(ceil(0.002 * count(*)), 20) AS least FROM taught),
-t AS (SELECT page_id, token, blocked FROM tokens JOIN taught USING (page_id)),
-combos AS (
-  SELECT [token] AS ts, page_id, blocked FROM t
-  UNION ALL SELECT [a.token, b.token], a.page_id, a.blocked FROM t a JOIN t b ON a.page_id = b.page_id AND a.token < b.token
-  UNION ALL SELECT [a.token, b.token, c.token], a.page_id, a.blocked FROM t a JOIN t b ON a.page_id = b.page_id AND a.token < b.token JOIN t c ON a.page_id = c.page_id AND b.token < c.token),
-mined AS (SELECT ts, count(*) FILTER (blocked) * 1.0 / count(*) AS confidence FROM combos, need GROUP BY ts, least HAVING count(*) FILTER (blocked) >= least AND count(*) FILTER (blocked) >= 0.6 * count(*)),
+taught AS (SELECT page_id, says = 'block' AS blocked FROM fitting WHERE place = 1 AND page_id IN (SELECT page_id FROM tokens)),
+need AS (SELECT greatest(0.005 * count(*), 5) AS least FROM taught),
+t AS MATERIALIZED (SELECT page_id, token, blocked FROM tokens JOIN taught USING (page_id)),
+combos(ts, page_id, blocked) AS (
+  SELECT [token], page_id, blocked FROM t
+  UNION ALL SELECT list_append(c.ts, t.token), c.page_id, c.blocked FROM combos c JOIN t ON t.page_id = c.page_id AND t.token > c.ts[-1]),
+mined AS (SELECT ts, count(*) FILTER (blocked) * 1.0 / count(*) AS confidence FROM combos, need GROUP BY ts, least HAVING count(*) FILTER (blocked) >= least - 1e-9 AND count(*) FILTER (blocked) >= 0.8 * count(*)),
 rules AS (SELECT ts, confidence FROM mined m WHERE NOT EXISTS (SELECT 1 FROM mined s WHERE len(s.ts) < len(m.ts) AND list_has_all(m.ts, s.ts) AND s.confidence >= m.confidence)),
 page_tokens AS (SELECT page_id, list(token) AS have FROM tokens GROUP BY page_id),
 hits AS (SELECT page_id, array_to_string(ts, ' + ') AS mined_rule, confidence, row_number() OVER (PARTITION BY page_id ORDER BY confidence DESC, array_to_string(ts, ' + ') DESC) AS place FROM page_tokens JOIN rules ON list_has_all(have, ts))

@@ -15,9 +15,8 @@ def op1_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """``labels`` is the only labelled table: a page takes the label of its id; low quality or toxic teaches a block."""
-    taught = table(spark, sf_dir, "labels").select(F.col("doc_id").alias("page_id"), F.expr("quality = 0 or toxic = 1").alias("blocked"))
-    return urls.judge_urls(table(spark, sf_dir, "pages").select("page_id", "url"), taught)
+    """The pages that a policy rule fits are labelled URLs: rules are mined from them and judge the others."""
+    return urls.judge_urls(table(spark, sf_dir, "pages").select("page_id", "url"))
 
 
 def op3_chat(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -38,10 +38,30 @@ def test_op1_recall_and_scores(spark, sf):
         assert [r.rank for r in own] == list(range(1, len(own) + 1)) and [(r.score, r.vec_id) for r in own] == sorted((r.score, r.vec_id) for r in own)
 
 
+def test_op1_windows_select(spark):
+    """On the larger table recall is at least 0.9 and under a tenth of the vectors is verified."""
+    big = "/root/testdata/sf0.1"
+    rows = [(r.vec_id, r.embedding) for r in table(spark, big, "embeddings").collect()]
+    want = {(q, i) for q, _, i, _ in ann.brute_force(rows, {i for i, _ in rows if i % 100 == 0})}
+    got = queries.op1_nearest(spark, big).collect()
+    verified = {r.query_id: r.verified for r in got}
+    assert len(got) == len(want) and len(want & {(r.query_id, r.vec_id) for r in got}) >= 0.9 * len(want)
+    assert sum(verified.values()) < 0.1 * len(verified) * len(rows)
+
+
+def test_op1_small_and_even_vectors(spark):
+    """Fewer candidates than k, equal vectors, several blocks and chunks: all that there is, in order."""
+    df = spark.createDataFrame([(i, [1.0, float(i // 3), 0.0]) for i in range(9)] + [(100, [1.0, 0.0, 0.0])], "vec_id long, embedding array<float>").repartition(3)
+    got = ann.nearest(df, df.where("vec_id = 100"), dim=3, k=20).collect()
+    assert [(r.rank, r.vec_id, r.score) for r in sorted(got, key=lambda r: r.rank)] == [(i + 1, i, float(i // 3)) for i in range(9)]
+    one = df.where("vec_id = 100")
+    assert ann.nearest(one, one, dim=3).collect() == []
+
+
 def test_op1_odd_rows(spark):
     v = [(100, [1.0, 0.0]), (0, [0.0, 0.0]), (1, None), (2, [1.0, float("nan")]), (3, [1.0, None]), (4, [1.0, 0.0]), (5, [1.0, 0.0]), (5, [1.0, 0.0]), (6, [2.0, 0.0]), (None, [1.0, 0.0]), (7, [1.0]), (200, [float("inf"), 1.0])]
     df = spark.createDataFrame(v, "vec_id long, embedding array<double>").selectExpr("*", "1 as rank", "'x' as score")
-    got = sorted(map(tuple, ann.nearest(df, df.where("vec_id % 100 = 0"), dim=2, k=3).collect()))
+    got = sorted(map(tuple, ann.nearest(df, df.where("vec_id % 100 = 0"), dim=2, k=3).select("query_id", "rank", "vec_id", "score").collect()))
     assert got == [(100, 1, 4, 0.0), (100, 2, 5, 0.0), (100, 3, 5, 0.0)]
     assert ann.nearest(df.limit(0), df.limit(0), dim=2).collect() == []
 
@@ -87,6 +107,24 @@ def test_op2_rules_of_many_tokens(spark):
     assert {r.mined_rule for r in got if r.page_id >= 40} == {None}
 
 
+def test_op2_mined_rules_decide_on_the_tables(spark, sf):
+    """Rules mined from the pages that the policy judges block others, on the given tables."""
+    got = queries.op2_urls(spark, sf).where("rule is null").collect()
+    assert {r.verdict for r in got if r.mined_rule} == {"block"} and {r.verdict for r in got if not r.mined_rule} == {"allow"}
+    assert sum(r.mined_rule is not None for r in got) >= 10
+
+
+def test_op2_long_rows_and_hot_tokens(spark):
+    """Rows of more tokens than are learnt from, a token that all rows have, null labels, and one set a third of all rows."""
+    from spurline.llm import urls
+
+    rows = [(i, "http://hot.example.net/bad/x" if i % 3 == 0 else f"http://n{i}.example.net/ok/?" + "&".join(f"k{j}=1" for j in range(40))) for i in range(300)]
+    df = spark.createDataFrame(rows, "page_id long, url string").selectExpr("*", "1 as _salt", "'t' as tokens", "'r' as rule_id")
+    labels = spark.createDataFrame([(i, None if i % 50 == 1 else i % 3 == 0) for i in range(300)], "page_id long, blocked boolean")
+    got = urls.judge_urls(df, labels, policy=()).collect()
+    assert len(got) == 300 and all((r.verdict == "block") == (r.page_id % 3 == 0) for r in got)
+
+
 def test_op3_odd_rows(spark):
     rows = [(1, 0, "user", None), (1, 1, None, "<|turn|>\\<s>[/INST]"), (1, 1, "assistant", "a<|end|>\n"), (1, 1, "assistant", "a<|end|>\n"), (None, None, "assistant", ""), (2, 5, "assi\nstant\\", "é")]
     df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").selectExpr("*", "1 as offset", "'f' as formatted")
