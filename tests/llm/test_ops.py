@@ -383,9 +383,9 @@ def test_op10_equals_brute_force(spark, sf, texts):
     assert {tuple(r) for r in queries.op10_near_dup(spark, sf).collect()} == want
 
 
-@pytest.mark.parametrize("bucket", [near_dup.BUCKET, 3])
+@pytest.mark.parametrize("bucket", [near_dup.BUCKET, 10, 1])
 def test_op10_dense_groups(spark, bucket):
-    """Both ways through a bucket find the same groups as all pairs do."""
+    """Whole buckets, buckets split by one segment more and by two find the same groups as all pairs do."""
     from spurline.operators.components import components
 
     rng = random.Random(bucket)
@@ -397,6 +397,9 @@ def test_op10_dense_groups(spark, bucket):
             for _ in range(rng.randint(0, 5)):
                 x ^= 1 << rng.randrange(64)
             prints.add(x)
+    for i in range(3):  # all in one bucket: two segments and more are equal
+        base = rng.getrandbits(64)
+        prints |= {base ^ rng.getrandbits(12 + 13 * i) for _ in range(60)}
     prints = sorted(prints)
     signed = [p - (1 << 64) if p >> 63 else p for p in prints]
     df = spark.createDataFrame([(x,) for x in signed], "fp long")
@@ -412,4 +415,17 @@ def test_op10_odd_rows(spark):
     assert got[:7] == [(0, 3), (2, 2), (3, 3), (3, 3), (4, 4), (5, 4), (6, 6)] and got[8:] == [(8, 8), (9, 3)]
     assert near_dup.near_duplicates(df.limit(0)).collect() == []
     kept = near_dup.drop_near_duplicates(df)
-    assert kept.columns == df.columns and sorted(r.doc_id or 0 for r in kept.collect()) == [0, 2, 3, 4, 6, 8]
+    assert kept.columns == df.columns and sorted(r.doc_id or 0 for r in kept.collect()) == [2, 3, 4, 6, 8]
+
+
+def test_op10_keeps_one_of_each_group(spark):
+    """Null ids, one id with different texts, repeated rows, clashing names, hot groups: one row of each group, the same every time."""
+    rows = [(None, "nobody names this text", 1), (None, "nobody names this text", 2), (7, "first text of seven words is here", 3), (7, "second text that differs in all", 4), (7, "second text that differs in all", 5), (9, "second text that differs in all", 6)] + [(100 + i, "a hot text of many copies", 7) for i in range(300)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, _keep int").selectExpr("*", "1 as row_key", "'x' as place", "2 as root", "map('a', 1) as m")
+    want = sorted([(0, 1), (7, 3), (7, 4), (100, 7)])
+    for parts in (1, 7):
+        got = near_dup.drop_near_duplicates(df.repartition(parts))
+        assert got.columns == df.columns and sorted((r.doc_id or 0, r._keep) for r in got.collect()) == want
+    assert near_dup.drop_near_duplicates(df.limit(0)).collect() == []
+    ids = {r.doc_id: r.component_id for r in near_dup.near_duplicates(df).collect()}
+    assert ids[9] == 7 and ids[250] == 100 and ids[None] is None
