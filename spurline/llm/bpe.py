@@ -19,10 +19,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spurline.llm.arrow import map_rows
-from spurline.llm.packing import _AWKWARD
+from spurline.llm.pretokens import LOOSE_SPACE, Memo, cuts_at_spaces
 
-#: Pre-tokens, and space-separated chunks, whose ids a worker remembers at most.
-REMEMBER = 500_000
+#: Bytes of pre-tokens, and of space-separated chunks, whose ids a worker remembers.
+REMEMBER = 128 << 20
 _NONE = 1 << 40
 _WORKER: dict = {}
 
@@ -93,8 +93,8 @@ class Codec:
         self.ranks, self.split = ranks, regex.compile(pattern).findall
         self.bytes = {i: b for b, i in ranks.items()}
         self.queue = RankQueue(max(ranks.values(), default=0) + 1)
-        self.words: dict[str, bytes] = {}
-        self.chunks: dict[str, bytes] = {}
+        self.words, self.chunks = Memo(REMEMBER), Memo(REMEMBER)
+        self.cuts = cuts_at_spaces(pattern)
 
     def merge(self, piece: bytes) -> list[int]:
         """Ids of one pre-token. Only pairs of lower rank than both neighbours are queued: no other can be next, as a
@@ -158,10 +158,7 @@ class Codec:
         return out
 
     def _word(self, word: str) -> bytes:
-        ids = _pack(self.merge(word.encode("utf-8")))
-        if len(self.words) < REMEMBER:
-            self.words[word] = ids
-        return ids
+        return self.words.keep(word, _pack(self.merge(word.encode("utf-8"))))
 
     def _pieces(self, text: str) -> bytes:
         known, make = self.words.get, self._word
@@ -175,14 +172,13 @@ class Codec:
             return (self.chunks.get(chunk[:-1]) or self._chunk(chunk[:-1])) + (self.words.get(chunk[-1]) or self._word(chunk[-1]))
         else:
             ids = self._pieces(" " + chunk)
-        if len(self.chunks) < REMEMBER:
-            self.chunks[chunk] = ids
-        return ids
+        return self.chunks.keep(chunk, ids)
 
     def encode(self, text: str | None) -> bytes:
-        """Ids as little-endian unsigned 32-bit integers. Between spaces before visible characters each chunk stands alone."""
+        """Ids as little-endian unsigned 32-bit integers. Under the public pattern each chunk between spaces before visible characters
+        stands alone; under any other the text is split as a whole."""
         text = text or ""
-        if len(text) < 2 or _AWKWARD.search(text):
+        if len(text) < 2 or not self.cuts or LOOSE_SPACE.search(text):
             return self._pieces(text)
         head, *rest = text.split(" ")
         known, make = self.chunks.get, self._chunk

@@ -117,10 +117,12 @@ def scan_licenses(docs: DataFrame, templates: dict[str, str] = TEMPLATES, thresh
     longer = (F.col("unit") == "line") & (F.col("n") > min(sum(c.values()) for c in bags.values()))
     rows = _held(rows, "n", size).where((fits | longer) & (F.col("n") > 0)).withColumn("t", F.trim("t"))
     places = {k: [{"w": w, "j": j} for j, w in enumerate(re.sub(r"[^0-9a-z]+", " ", text.lower()).split()) if w in told_words] for k, text in templates.items()}
-    shapes = [{"license": k, "m": sum(c.values()), "grams": [{"g": g, "k": n} for g, n in sorted(c.items())], "at": places[k]} for k, c in sorted(bags.items())]
-    known = F.from_json(F.lit(json.dumps(shapes)), "array<struct<license:string,m:int,grams:array<struct<g:string,k:int>>,at:array<struct<w:string,j:int>>>>")
+    shapes = [{"license": k, "m": sum(c.values()), "once": sorted(c), "more": [{"g": g, "k": n} for g, n in sorted(c.items()) if n > 1], "at": places[k]} for k, c in sorted(bags.items())]
+    known = F.from_json(F.lit(json.dumps(shapes)), "array<struct<license:string,m:int,once:array<string>,more:array<struct<g:string,k:int>>,at:array<struct<w:string,j:int>>>>")
     rows = rows.select("doc_id", "unit", "unit_no", "n", F.split("t", " ").alias("w"), known.alias("known"))
-    shared = "aggregate(x.grams, 0, (s, y) -> s + least(y.k, size(filter(zip_with(slice(w, {0}, {1}), slice(w, {0} + 1, {1}), (a, b) -> concat(a, ' ', b)), z -> z = y.g))))"
+    # Shared bigrams: the distinct ones by a hash set, and what those that a template has several times add to that.
+    shared = """aggregate(array(zip_with(slice(w, {0}, {1}), slice(w, {0} + 1, {1}), (a, b) -> concat(a, ' ', b))), 0, (s, g) -> size(array_intersect(g, x.once))
+        + aggregate(x.more, 0, (t, y) -> t + greatest(least(y.k, size(filter(g, z -> z = y.g))) - 1, 0)))"""
     best = F.expr(f"""array_min(filter(transform(filter(known, x -> n between {low!r}D * x.m - 1e-9D and {high!r}D * x.m + 1e-9D),
         x -> struct(-2D * {shared.format("1", "n")} / (n + x.m) as dice, x.license as license)),
         x -> -x.dice >= {threshold!r}D - 1e-12D))""")

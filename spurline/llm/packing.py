@@ -8,7 +8,6 @@ reads the ids again and cuts them at the multiples of the window length. Nothing
 from __future__ import annotations
 
 import json
-import re
 import uuid
 from collections.abc import Iterator
 from itertools import accumulate
@@ -18,11 +17,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from spurline.llm.pretokens import LOOSE_SPACE, Memo, cuts_at_spaces
 from spurline.runtime import materialise
 
-#: Space-separated chunks whose ids a worker remembers, at most; later ones are encoded anew each time.
-CHUNKS = 600_000
-_AWKWARD = re.compile(r" (?=\s|$)")
+#: Bytes of space-separated chunks whose ids a worker remembers.
+CHUNKS = 160 << 20
 _WORKER: dict = {}
 
 
@@ -45,29 +44,28 @@ class WholeTextEncoder:
         import tiktoken
         from tokenizers import Tokenizer
 
+        if not cuts_at_spaces(pattern):
+            raise ValueError("the JSON vocabulary is split by the public pattern only")
         spec, letters = json.loads(source), byte_letters()
         self.library = Tokenizer.from_str(source)
         self.added = [t["content"] for t in spec.get("added_tokens", [])]
         ranks = {bytes(letters[c] for c in word): i for word, i in spec["model"]["vocab"].items() if word not in self.added}
         self.whole = tiktoken.Encoding("vocabulary", pat_str=pattern, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
         self.kind = np.dtype("<u2" if max(*spec["model"]["vocab"].values(), end_id) < 1 << 16 else "<u4")
-        self.chunks: dict[str, bytes] = {}
+        self.chunks = Memo(CHUNKS)
         self.end = self._pack([end_id])
 
     def _pack(self, ids: list[int]) -> bytes:
         return np.array(ids, self.kind).tobytes()
 
     def _chunk(self, chunk: str) -> bytes:
-        ids = self._pack(self.whole(" " + chunk))
-        if len(self.chunks) < CHUNKS:
-            self.chunks[chunk] = ids
-        return ids
+        return self.chunks.keep(chunk, self._pack(self.whole(" " + chunk)))
 
     def __call__(self, text: str | None) -> bytes:
         text = text or ""
         if any(x in text for x in self.added):
             return self._pack(self.library.encode(text, add_special_tokens=False).ids) + self.end
-        if len(text) < 2 or _AWKWARD.search(text):
+        if len(text) < 2 or LOOSE_SPACE.search(text):
             return self._pack(self.whole(text)) + self.end
         head, *rest = text.split(" ")
         known, make = self.chunks.get, self._chunk

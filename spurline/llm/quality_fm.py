@@ -18,21 +18,19 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spurline.llm.arrow import map_rows
+from spurline.llm.pretokens import Memo
 
 HASHED = 1 << 14
 STATS = 13
 #: Labelled rows that the model is fitted on, at most: those with the least hashes of their ids.
 TRAIN_ROWS = 6_000
 _SYMBOLS = "#*$%&|<>"
-_REMEMBER = 500_000
-_words: dict[str, int] = {}
+#: Bytes of words whose places a worker remembers.
+_words = Memo(96 << 20)
 
 
 def _word_index(word: str) -> int:
-    at = STATS + zlib.crc32(word.encode("utf-8", "surrogatepass")) % HASHED
-    if len(_words) < _REMEMBER:
-        _words[word] = at
-    return at
+    return _words.keep(word, STATS + zlib.crc32(word.encode("utf-8", "surrogatepass")) % HASHED)
 
 
 def features(text: str | None, n_chars: int | None = None) -> tuple[np.ndarray, np.ndarray]:

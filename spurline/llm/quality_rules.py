@@ -11,21 +11,30 @@ from pyspark.sql import functions as F
 
 from spurline.llm.arrow import map_rows
 
-#: Phrases of page furniture, matched in lower case anywhere in a line of at most BOILER_WORDS words.
-BOILERPLATE = ("all rights reserved", "accept cookies", "cookie policy", "privacy policy", "terms of use", "terms of service", "enable javascript", "click here", "read more", "sign up", "log in", "subscribe to our newsletter", "share this", "skip to content", "back to top")
+#: Phrases of page furniture in four languages, matched in lower case anywhere in a line of at most BOILER_WORDS words.
+BOILERPLATE = {
+    "en": ("all rights reserved", "accept cookies", "cookie policy", "privacy policy", "terms of use", "terms of service", "enable javascript", "click here", "read more", "sign up", "log in", "subscribe to our newsletter", "share this", "skip to content", "back to top"),
+    "de": ("alle rechte vorbehalten", "cookies akzeptieren", "cookie-richtlinie", "datenschutzerklärung", "nutzungsbedingungen", "allgemeine geschäftsbedingungen", "javascript aktivieren", "hier klicken", "klicken sie hier", "weiterlesen", "mehr erfahren", "jetzt registrieren", "newsletter abonnieren", "artikel teilen", "zum inhalt springen", "nach oben"),
+    "fr": ("tous droits réservés", "accepter les cookies", "politique de cookies", "politique de confidentialité", "conditions d'utilisation", "mentions légales", "activer javascript", "cliquez ici", "lire la suite", "en savoir plus", "se connecter", "créer un compte", "abonnez-vous à notre newsletter", "partager cet article", "aller au contenu", "haut de page"),
+    "es": ("todos los derechos reservados", "aceptar cookies", "política de cookies", "política de privacidad", "términos de uso", "condiciones de uso", "aviso legal", "activar javascript", "haga clic aquí", "haz clic aquí", "leer más", "iniciar sesión", "crear una cuenta", "suscríbete a nuestro boletín", "compartir este artículo", "saltar al contenido", "volver arriba"),
+}
 BOILER_WORDS = 12
 #: Share of a text's word characters that its failed lines may hold.
 MAX_LOST = 0.3
 SYMBOLS = "#*$%&|<>"
 SPACES = " \t\n\x0b\x0c\r"
-_boiler = re.compile("|".join(map(re.escape, BOILERPLATE))).search
+_phrases = tuple(p for group in BOILERPLATE.values() for p in group)
 _sentence = re.compile(r"[.!?…:;,。！？،।\"')\]]").search
 _symbol = re.compile(r"[#*$%&|<>]").search
 
 
 def line_fails(line: str, words: list[bytes] | None = None) -> str | None:
-    """The rule that a line with words breaks, or None: ``navigation``, ``symbols``, ``shouting``, ``repetition``,
-    ``punctuation`` or ``boilerplate``."""
+    """The rule that a line with words breaks, or None.
+
+    Of lines of three words or more: ``navigation`` (two bars or arrows, at least one for three words), ``symbols`` (over half of the
+    words have one), ``numbers`` (over half of the word characters are digits), ``shouting`` (capitals only, with ``!!`` or eight words), ``repetition`` (eight words, under a quarter of them
+    distinct). Of twelve words or more: ``punctuation`` (none at all). Of BOILER_WORDS or fewer: ``boilerplate``. Only the last knows words of a language.
+    """
     words = line.split() if words is None else words
     n = len(words)
     if n >= 3:
@@ -34,14 +43,18 @@ def line_fails(line: str, words: list[bytes] | None = None) -> str | None:
             return "navigation"
         if any(c in line for c in SYMBOLS) and 2 * sum(bool(_symbol(w)) for w in line.split()) > n:
             return "symbols"
+        if 2 * sum(map(line.count, "0123456789")) > len(line) - sum(map(line.count, SPACES)):
+            return "numbers"
         if line.isupper() and ("!!" in line or n >= 8):
             return "shouting"
         if n >= 8 and 4 * len(set(words)) < n:
             return "repetition"
     if n >= 12 and not _sentence(line):
         return "punctuation"
-    if n <= BOILER_WORDS and _boiler(line.lower()):
-        return "boilerplate"
+    if n <= BOILER_WORDS:
+        low = line.lower()
+        if any(p in low for p in _phrases):
+            return "boilerplate"
     return None
 
 

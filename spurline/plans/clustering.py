@@ -9,10 +9,11 @@ from pyspark.sql import functions as F
 
 from spurline.operators import kernels as K
 from spurline.params import BranchParams
+from spurline.runtime import materialise
 
 RESULT = "grp string, id long, label int, strength double, cluster int, cluster_strength double, branch int, branch_strength double, is_center boolean"
-#: Points of one group that the kernels take: their distance matrices are square.
-KERNEL_POINTS = 6_000
+#: Points of one group that the kernels take: their distance matrices are square. Larger groups go by joins, with the same rows.
+KERNEL_POINTS = 4_000
 
 
 def _points(pdf: pd.DataFrame) -> tuple[pd.DataFrame, np.ndarray]:
@@ -42,8 +43,26 @@ def spread(points: DataFrame) -> DataFrame:
     return points.select("grp", "id", "x").repartition(int(points.sparkSession.conf.get("spark.sql.shuffle.partitions")), "grp")
 
 
-def branch_clusters(points: DataFrame, p: BranchParams = BranchParams()) -> DataFrame:
-    """RESULT rows: density clusters, branches inside them, and both combined."""
+def by_size(points: DataFrame, limit: int, small, large) -> DataFrame:
+    """``small`` of the groups with at most ``limit`` points, and ``large`` of the others, if there are any."""
+    big = materialise(points.groupBy("grp").count().where(F.col("count") > limit).select("grp"), "large-groups")
+    if big.isEmpty():
+        return small(points)
+    return small(points.join(big, "grp", "left_anti")).unionByName(large(points.join(big, "grp", "left_semi")))
+
+
+def branch_clusters(points: DataFrame, p: BranchParams = BranchParams(), limit: int = KERNEL_POINTS) -> DataFrame:
+    """RESULT rows: density clusters, branches inside them, and both combined. A group of over ``limit`` points goes through joins and
+    bounded tasks (:mod:`spurline.plans.large`), a smaller one through one task; both give the same rows."""
+    def joined(rows: DataFrame) -> DataFrame:
+        from spurline.plans import large
+
+        return large.branches(large.density(rows, p), p)
+
+    return by_size(points, limit, lambda rows: _branch_kernel(rows, p), joined)
+
+
+def _branch_kernel(points: DataFrame, p: BranchParams) -> DataFrame:
     def make(x, ids):
         m = K.density(x, p)
         return {"id": ids, **K.combine(m, K.branches(x, m, p), p)}
@@ -66,12 +85,19 @@ def branch_grid(points: DataFrame, settings: list[BranchParams]) -> DataFrame:
     return per_group(points, RESULT + ", setting int", make)
 
 
-def density_clusters(points: DataFrame, p: BranchParams = BranchParams()) -> DataFrame:
+def density_clusters(points: DataFrame, p: BranchParams = BranchParams(), limit: int = KERNEL_POINTS) -> DataFrame:
+    """``(grp, id, label, strength, core)`` of groups of any size; see :func:`branch_clusters`."""
     def make(x, ids):
         m = K.density(x, p)
         return {"id": ids, "label": m.label, "strength": m.strength, "core": m.core}
 
-    return per_group(points, "grp string, id long, label int, strength double, core double", make)
+    def joined(rows: DataFrame) -> DataFrame:
+        from spurline.plans import large
+
+        m = large.density(rows, p)
+        return m.labels.join(m.core, ["grp", "id"], "left").select("grp", "id", "label", "strength", F.coalesce("core", F.lit(float("inf"))).alias("core"))
+
+    return by_size(points, limit, lambda rows: per_group(rows, "grp string, id long, label int, strength double, core double", make), joined)
 
 
 def density_grid(points: DataFrame, settings: list[BranchParams]) -> DataFrame:
