@@ -179,6 +179,27 @@ def test_op4_any_text(text):
     assert CODEC.decode(CODEC.encode(text)) == text.encode()
 
 
+def test_op4_other_patterns():
+    """A pattern that cuts elsewhere than at spaces is followed as the library follows it."""
+    import tiktoken
+
+    for pattern in (r"\p{Lu}?\p{Ll}+| ?\p{N}|\s+|.", r"[^ ]+ ?| +"):
+        own, lib = bpe.Codec(CODEC.ranks, pattern), tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=CODEC.ranks, special_tokens={})
+        for text in ("the CamelCase of someWords in a row. And x12 y", "a b  c ", " Ab, cD"):
+            assert np.frombuffer(own.encode(text), "<u4").tolist() == lib.encode_ordinary(text)
+    with pytest.raises(ValueError, match="pattern"):
+        packing.WholeTextEncoder(open(P.path("byte_bpe_50k.json"), encoding="utf-8").read(), r"\s+|\S+", 1)
+
+
+def test_memory_of_pieces_is_bounded():
+    from spurline.llm.pretokens import Memo
+
+    memo = Memo(10_000)
+    for i in range(1000):
+        assert memo.keep(f"k{i}", b"x" * 100) == b"x" * 100
+    assert 20 < len(memo) < 40 and memo.keep("a" * 50_000, 1) == 1 and "a" * 50_000 not in memo
+
+
 def test_op4_long_pre_tokens():
     rng = random.Random(1)
     for word in ("a" * 50_000, "".join(rng.choices("abcdehinorstu", k=60_000)), "ab" * 20_000, "é漢" * 4000):
@@ -227,6 +248,44 @@ def test_op6_counts(spark, sf, texts):
         assert r.base_failed == (n < 10 or 100 * rest[-1] > 20 * n) and not (r.base_failed and r.kept)
 
 
+def slow_verdict(text):
+    """Kept or not, and word characters lost, from the rules as the docstrings state them."""
+    import re
+    from fractions import Fraction
+
+    n, chars, _, _, repeated = slow_counts(text)
+    lost = 0
+    for line in (text or "").split("\n"):
+        words = re.findall(r"[^\x20\x09-\x0D]+", line)
+        size, many = sum(map(len, words)), len(words)
+        bars = len(re.findall(r"\||»| > ", line))
+        bad = many >= 3 and bars >= 2 and Fraction(bars, many) >= Fraction(1, 3)
+        bad |= many >= 3 and sum(bool(re.search(r"[#*$%&|<>]", w)) for w in words) * 2 > many
+        bad |= many >= 3 and 2 * len(re.findall("[0-9]", line)) > size
+        bad |= many >= 3 and line.isupper() and ("!!" in line or many >= 8)
+        bad |= many >= 8 and len(set(words)) * 4 < many
+        bad |= many >= 12 and not re.search(r"[.!?…:;,。！？،।\"')\]]", line)
+        bad |= 0 < many <= 12 and any(p in line.lower() for group in quality_rules.BOILERPLATE.values() for p in group)
+        lost += size if bad else 0
+    return n >= 10 and Fraction(repeated, n) <= Fraction(1, 5) and Fraction(lost, max(chars, 1)) <= Fraction(3, 10), lost
+
+
+def test_op6_verdicts(spark, sf, texts):
+    got = {r.doc_id: (r.kept, r.lost_chars) for r in queries.op6_rules(spark, sf).collect()}
+    assert got == {i: slow_verdict(t) for i, t in texts.items()}
+    assert {k for k, _ in got.values()} == {True, False} and any(x for _, x in got.values())
+
+
+LINES = ["Home | News | Sport", "a > b > c", "Mehr erfahren", "Lire la suite", "leer más", "MORE OF IT NOW !!", "1 22 333 4 x", "# $ % word", "plain words without any mark " * 3, "go " * 9, "A sentence, with marks and words enough to count.", "", " \t", "ONE TWO THREE FOUR FIVE SIX SEVEN EIGHT"]
+
+
+@given(st.lists(st.sampled_from(LINES), max_size=12).map("\n".join))
+@settings(max_examples=300, deadline=None)
+def test_op6_verdict_of_any_lines(text):
+    got = quality_rules.judge(text)
+    assert (got[6], got[7]) == slow_verdict(text)
+
+
 @given(st.lists(st.sampled_from(["a", "b", "c\n", "\n", "d e", "|", "É"]), max_size=60).map(" ".join))
 @settings(max_examples=200, deadline=None)
 def test_op6_any_text(text):
@@ -347,6 +406,22 @@ def test_op9_common_licences_and_notices_inside_lines(spark):
     assert got == {**{i: {("line", k, 1.0)} for i, k in enumerate(names)}, 100: {("passage", k, 1.0) for k in ("apache-2.0", "bsd-3-clause", "reserved")}}
 
 
+def test_op9_repeated_bigrams(spark):
+    """Dice over bags: a bigram counts as often as both have it."""
+    from spurline.llm.licenses import scan_licenses
+
+    templates = {"twice": "to be or not to be or not to be free", "once": "all of these words stand here one time"}
+    texts = ["to be or not to be or not to be free", "to be or not to be free", "to be or not to be or not to be or not to be free", "all of these words stand here one time all of"]
+
+    def dice(text, template):
+        a, b = (Counter(zip(t.split(), t.split()[1:], strict=False)) for t in (text, template))
+        return 2 * sum((a & b).values()) / (sum(a.values()) + sum(b.values()))
+
+    got = {r.doc_id: (r.license, r.dice) for r in scan_licenses(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), templates).where("unit = 'line'").collect()}
+    want = {i: max(((k, round(dice(t, v), 6)) for k, v in templates.items()), key=lambda x: x[1]) for i, t in enumerate(texts)}
+    assert got == {i: x for i, x in want.items() if x[1] >= 0.8} and len(got) == 3
+
+
 def slow_print(text):
     import re
 
