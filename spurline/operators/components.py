@@ -2,11 +2,60 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spurline.runtime import materialise
 
+#: Edges that one task joins up in one go, instead of rounds of joins.
+TASK_EDGES = 100_000
+
+
+class Union:
+    """Disjoint sets of anything hashable; a set's root is the first of it that was met, or what :meth:`join` made it."""
+
+    def __init__(self):
+        self.up: dict = {}
+
+    def find(self, x):
+        up = self.up
+        up.setdefault(x, x)
+        while up[x] != x:
+            up[x] = up[up[x]]
+            x = up[x]
+        return x
+
+    def join(self, x, y) -> bool:
+        """Whether x and y were apart; the smaller root stays."""
+        x, y = self.find(x), self.find(y)
+        if x == y:
+            return False
+        self.up[max(x, y)] = min(x, y)
+        return True
+
+
+def _in_a_task(graph: DataFrame, k: list[str]) -> DataFrame:
+    """Components of at most TASK_EDGES edges, by one task."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sets: dict[tuple, Union] = {}
+        for batch in batches:
+            for *key, u, v in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                sets.setdefault(tuple(key), Union()).join(u, v)
+        rows = [(*key, x, own.find(x)) for key, own in sets.items() for x in list(own.up)]
+        columns = list(zip(*rows, strict=True)) or [()] * (len(k) + 2)
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=[*k, "id", "component"])
+
+    from pyspark.sql.pandas.types import to_arrow_type
+
+    rows = graph.select(*k, "u", "v")
+    kinds = [to_arrow_type(f.dataType) for f in rows.schema]
+    kinds[-1] = kinds[-2]
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields[: len(k)]), *(f"{n} {rows.schema['u'].dataType.simpleString()}" for n in ("id", "component"))])
+    return rows.coalesce(1).mapInArrow(run, schema)
+
 
 def _symmetric(edges: DataFrame) -> DataFrame:
     return edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v"), *[c for c in edges.columns if c not in ("u", "v")]))
@@ -31,21 +80,23 @@ def components(edges: DataFrame, vertices: DataFrame | None = None, keys: tuple[
     ``edges`` has ``u`` and ``v`` (and the ``keys`` that separate graphs); loops, repeats and null ends are
     ignored. With ``vertices`` (``keys..., id``) lonely vertices get a row too; without, only ends of edges.
     A round costs two aggregations and two joins; every round is written to the shared folder. The number of
-    rounds grows with the logarithm of the longest path. No task ever holds a component.
+    rounds grows with the logarithm of the longest path. No task ever holds a component of more than TASK_EDGES edges.
     """
     k = list(keys)
     graph = materialise(edges.where("u is not null and v is not null and u <> v").select(*k, F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "edges")
     seen = None
-    for _ in range(max_rounds):
+    few = graph.count() <= TASK_EDGES
+    for _ in range(0 if few else max_rounds):
         now = graph.agg(F.count(F.lit(1)), F.sum(F.xxhash64(*k, "u", "v").cast("decimal(38,0)"))).first()
         if tuple(now) == seen or not now[0]:
             break
         seen = tuple(now)
         graph = materialise(_star(_star(graph, k, True), k, False), "star")
     else:
-        raise RuntimeError(f"components are still moving after {max_rounds} rounds")
+        if not few:
+            raise RuntimeError(f"components are still moving after {max_rounds} rounds")
     roots = graph.select(*k, F.col("v").alias("id"), F.col("v").alias("component")).distinct()
-    found = graph.select(*k, F.col("u").alias("id"), F.col("v").alias("component")).unionByName(roots)
+    found = _in_a_task(graph, k) if few else graph.select(*k, F.col("u").alias("id"), F.col("v").alias("component")).unionByName(roots)
     if vertices is None:
         return found
     return vertices.select(*k, "id").join(found, [*k, "id"], "left").withColumn("component", F.coalesce("component", "id"))

@@ -1,26 +1,55 @@
-"""Spanning forests by Boruvka rounds of joins; each round at least halves the components that have an edge left."""
+"""Spanning forests by rounds of joins; each round at least halves the components that have an edge left."""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from spurline.operators.components import components
+from spurline.operators.components import TASK_EDGES, Union, components
 from spurline.runtime import materialise
 
 
+def _in_a_task(edges: DataFrame) -> DataFrame:
+    """The forest of at most TASK_EDGES edges (``grp, a, b, o, u, v, w``), by one task."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = [r for batch in batches for r in zip(*(c.to_pylist() for c in batch.columns), strict=True)]
+        sets, out = {}, []
+        for grp, a, b, o, u, v, w in sorted(rows, key=lambda r: (r[3], r[4], r[5])):
+            if sets.setdefault(grp, Union()).join(a, b):
+                out.append((grp, u, v, w))
+        columns = list(zip(*out, strict=True)) or [()] * 4
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.string(), pa.int64(), pa.int64(), pa.float64()), strict=True)], names=["grp", "u", "v", "w"])
+
+    return edges.select("grp", "a", "b", "o", "u", "v", "w").coalesce(1).mapInArrow(run, "grp string, u long, v long, w double")
+
+
 def spanning_forest(edges: DataFrame, maximum: bool = False, max_rounds: int = 64) -> DataFrame:
-    """``(grp, u, v, w)``: the least (or greatest) spanning forest of ``edges`` (``grp, u, v, w``, u < v), unique under (w, u, v)."""
-    left = materialise(edges.select("grp", "u", "v", "w", (-F.col("w") if maximum else F.col("w")).alias("o"), F.col("u").alias("a"), F.col("v").alias("b")), "forest")
-    found = left.select("grp", "u", "v", "w").limit(0)
+    """``(grp, u, v, w)``: the least (or greatest) spanning forest of ``edges`` (``grp, u, v, w``, u < v), unique under (w, u, v).
+
+    Every round, each component takes its best edge, components joined by these are contracted, and of the edges between two
+    components only the best stays. Once few edges are left one task ends it.
+    """
+    w = F.col("w").cast("double")
+    left = materialise(edges.select("grp", "u", "v", w.alias("w"), (-w if maximum else w).alias("o"), F.col("u").alias("a"), F.col("v").alias("b")), "forest")
+    found = []
     for _ in range(max_rounds):
-        if left.isEmpty():
-            return found
-        ends = left.select("grp", F.col("a").alias("c"), "o", "u", "v", "w").unionByName(left.select("grp", F.col("b").alias("c"), "o", "u", "v", "w"))
-        best = ends.groupBy("grp", "c").agg(F.min(F.struct("o", "u", "v", "w")).alias("e")).select("grp", "e.u", "e.v", "e.w").distinct()
-        found = materialise(found.unionByName(best), "forest")
-        home = components(found.select("grp", "u", "v"), keys=("grp",))
-        at = lambda end, name: home.select("grp", F.col("id").alias(end), F.col("component").alias(name))
-        joined = left.drop("a", "b").join(at("u", "a"), ["grp", "u"]).join(at("v", "b"), ["grp", "v"])
-        left = materialise(joined.where("a <> b").groupBy("grp", "a", "b").agg(F.min(F.struct("o", "u", "v", "w")).alias("e")).select("grp", "e.u", "e.v", "e.w", "e.o", "a", "b"), "forest")
-    raise RuntimeError("the forest is still growing")
+        if left.count() <= TASK_EDGES:
+            found.append(_in_a_task(left))
+            break
+        ends = left.select("grp", F.col("a").alias("c"), "o", "u", "v", "w", "a", "b").unionByName(left.select("grp", F.col("b").alias("c"), "o", "u", "v", "w", "a", "b"))
+        best = materialise(ends.groupBy("grp", "c").agg(F.min(F.struct("o", "u", "v", "w", "a", "b")).alias("e")).select("grp", "e.*").distinct(), "best")
+        found.append(best.select("grp", "u", "v", "w"))
+        home = materialise(components(best.select("grp", F.col("a").alias("u"), F.col("b").alias("v")), keys=("grp",)), "home")
+        for end in "ab":
+            left = left.join(home.select("grp", F.col("id").alias(end), F.col("component").alias("new")), ["grp", end], "left").withColumn(end, F.coalesce("new", end)).drop("new")
+        left = left.where("a <> b").groupBy("grp", F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y")).agg(F.min(F.struct("o", "u", "v", "w")).alias("e"))
+        left = materialise(left.select("grp", "e.*", F.col("x").alias("a"), F.col("y").alias("b")), "forest")
+    else:
+        raise RuntimeError("the forest is still growing")
+    out = found[0]
+    for part in found[1:]:
+        out = out.unionByName(part)
+    return materialise(out, "forest")

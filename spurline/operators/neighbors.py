@@ -1,10 +1,8 @@
-"""Exact nearest neighbours, core distances and neighbourhood graphs as joins, for groups of any size."""
+"""Core distances, neighbourhood graphs and paths as joins, for groups of any size; neighbours come from :mod:`spurline.operators.blocks`."""
 
 from __future__ import annotations
 
-from itertools import product
-
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spurline.runtime import materialise
@@ -14,44 +12,6 @@ def squared(a: F.Column, b: F.Column) -> F.Column:
     return F.aggregate(F.zip_with(a, b, lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x)
 
 
-def knn(points: DataFrame, k: int, side: float, axes: int = 2, max_rounds: int = 40) -> DataFrame:
-    """``(grp, id, nbr, d, rank)``: neighbours of rank up to ``k`` (ties share a rank), other than the point itself.
-
-    Points are hashed to cells of ``side`` on their first ``axes`` axes. A query meets the points of its own and the adjoining cells by
-    an equi-join; everything within ``side`` is among them, so a k-th distance up to ``side`` is certain. Those without
-    one go on with doubled cells. Groups with ``k`` points or fewer return all that there are. The distance on some
-    axes never exceeds that on all, so the cells are a safe filter in any dimension.
-    """
-    base = materialise(points.select("grp", "id", "x"), "points")
-    sizes = base.groupBy("grp").count()
-    todo = base.join(sizes.where(F.col("count") > k).select("grp"), "grp", "left_semi")
-    few = base.join(sizes.where(F.col("count") <= k).select("grp"), "grp", "left_semi")
-    done = [_ranked(few.select("grp", F.col("id").alias("q"), F.col("x").alias("y")).join(few, "grp"), k)]
-    offsets = list(product((-1, 0, 1), repeat=axes))
-    for _ in range(max_rounds):
-        cell = [F.floor(F.get("x", F.lit(i)) / side).cast("long") for i in range(axes)]
-        asked = todo.select("grp", F.col("id").alias("q"), F.col("x").alias("y"), F.explode(F.array(*[F.array(*[c + o for c, o in zip(cell, off, strict=True)]) for off in offsets])).alias("cell"))
-        held = base.select("grp", "id", "x", F.array(*cell).alias("cell"))
-        ranked = materialise(_ranked(asked.join(held, ["grp", "cell"]), k), "knn")
-        sure = ranked.where(F.col("d") <= side).groupBy("grp", "id").agg(F.max("rank").alias("r"), F.count(F.lit(1)).alias("n")).where(F.col("n") >= k).select("grp", "id")
-        done.append(ranked.join(sure, ["grp", "id"], "left_semi"))
-        todo = materialise(todo.join(sure, ["grp", "id"], "left_anti"), "unfinished")
-        if todo.isEmpty():
-            break
-        side *= 2
-    else:
-        raise RuntimeError("some points still lack neighbours; choose larger cells")
-    out = done[0]
-    for part in done[1:]:
-        out = out.unionByName(part)
-    return out
-
-
-def _ranked(pairs: DataFrame, k: int) -> DataFrame:
-    d = pairs.where("q <> id").select("grp", F.col("q").alias("id"), F.col("id").alias("nbr"), F.sqrt(squared(F.col("y"), F.col("x"))).alias("d"))
-    return d.withColumn("rank", F.rank().over(Window.partitionBy("grp", "id").orderBy("d"))).where(F.col("rank") <= k)
-
-
 def core_distance(neighbours: DataFrame, k: int) -> DataFrame:
     """``(grp, id, core)``: distance to the k-th nearest other point; points with fewer neighbours are left out."""
     return neighbours.groupBy("grp", "id").agg(F.max("d").alias("core"), F.count(F.lit(1)).alias("n")).where(F.col("n") >= k).drop("n")

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from spurline.operators import baselines as B
 from spurline.operators import kernels as K
 from spurline.operators import neighbors as N
+from spurline.operators.blocks import knn
 from spurline.operators.components import components
 from spurline.operators.forest import spanning_forest
 from spurline.params import BranchParams
@@ -42,7 +43,7 @@ def star(spark: SparkSession, d: str) -> DataFrame:
 
 
 def star_nn(spark: SparkSession, d: str) -> DataFrame:
-    return materialise(N.knn(star(spark, d), 5, side=8000.0), "star-knn")
+    return materialise(knn(star(spark, d), 5), "star-knn")
 
 
 def exact(d: F.Column) -> F.Column:
@@ -85,7 +86,7 @@ def star_knn(spark, d):
 @query(f"WITH s AS (SELECT user_id * 50 + step AS id, p0, p1 FROM ({W.walk_sql()})), ranked AS (SELECT a.id AS id, b.id AS nbr, (a.p0 - b.p0) * (a.p0 - b.p0) + (a.p1 - b.p1) * (a.p1 - b.p1) AS d2, rank() OVER (PARTITION BY a.id ORDER BY (a.p0 - b.p0) * (a.p0 - b.p0) + (a.p1 - b.p1) * (a.p1 - b.p1)) AS rank FROM s a, s b WHERE a.id <> b.id) SELECT id, nbr, CAST(d2 AS BIGINT) AS d2 FROM ranked WHERE rank <= 10")
 def walk_knn(spark, d):
     pts = materialise(W.walk_points(table(spark, d, "events")).withColumn("x", F.array(F.col("p0").cast("double"), F.col("p1").cast("double"))), "walk")
-    return N.knn(pts, 10, side=2000.0).select("id", "nbr", exact(F.col("d")).alias("d2"))
+    return knn(pts, 10).select("id", "nbr", exact(F.col("d")).alias("d2"))
 
 
 @query(f"WITH {PAIRS} SELECT id, c2 FROM core")

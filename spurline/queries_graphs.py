@@ -12,6 +12,7 @@ from spurline.operators import measures as M
 from spurline.operators import memberships as R
 from spurline.operators import neighbors as N
 from spurline.operators import summaries as Y
+from spurline.operators.blocks import knn
 from spurline.params import BranchParams
 from spurline.plans import clustering as C
 from spurline.plans import model as P
@@ -203,10 +204,9 @@ def atlas_branches(spark, d):
     """Components, the densest part, its largest piece, three components, branches."""
     raw = Y.center_batches(W.embedding_points(table(spark, d, "embeddings")).withColumn("batch", F.pmod("id", F.lit(3))), "batch")
     p = materialise(Y.pca(raw, 50), "atlas")
-    unit = p.withColumn("x", F.expr("transform(x, v -> v / sqrt(aggregate(x, 0D, (s, e) -> s + e * e)))"))
     core = C.density_clusters(p, BranchParams(min_samples=5, min_cluster_size=50, metric="angular")).select("grp", "id", "core")
     kept = materialise(Y.dense_part(core, 0.84), "atlas-dense")
-    nn = materialise(N.knn(unit.join(kept, ["grp", "id"], "left_semi"), 30, side=1.0), "atlas-knn")
+    nn = materialise(knn(p.join(kept, ["grp", "id"], "left_semi"), 30, "angular"), "atlas-knn")
     piece = Y.largest_component(nn.select("grp", F.col("id").alias("u"), F.col("nbr").alias("v")), kept)
     low = Y.pca(p.join(piece, ["grp", "id"], "left_semi"), 3)
     return C.branch_clusters(low, BranchParams(min_samples=3, min_cluster_size=100, min_branch_size=20, allow_single_cluster=True, branch_selection="leaf"))
