@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from spurline.operators.components import components
 from spurline.operators.neighbors import squared
-from spurline.runtime import materialise
+from spurline.runtime import fresh, materialise
 
 
 def kmeans(points: DataFrame, centres: DataFrame, rounds: int = 10) -> DataFrame:
@@ -30,12 +30,14 @@ def kmeans_ml(points: DataFrame, k: int, seed: int = 1) -> DataFrame:
     from pyspark.ml.clustering import KMeans
     from pyspark.ml.functions import array_to_vector
 
-    rows = points.withColumn("_v", array_to_vector("x"))
-    return KMeans(k=k, seed=seed, featuresCol="_v", predictionCol="label").fit(rows).transform(rows).drop("_v")
+    v = fresh("v", points)
+    rows = points.withColumn(v, array_to_vector("x"))
+    return KMeans(k=k, seed=seed, featuresCol=v, predictionCol="label").fit(rows).transform(rows).drop(v)
 
 
 def distance_sums(points: DataFrame, against: DataFrame | None = None) -> DataFrame:
-    """``(grp, id, value)``: sum of distances to all points of the group, or to ``against``, a sample of it that bounds the work."""
+    """``(grp, id, value)``: sum of distances to all points of the group, or to ``against``, a sample of it that
+    bounds the work. Without it the work is quadratic in a group, which is this baseline's nature: use it on groups of some thousands."""
     other = (against if against is not None else points).select("grp", F.col("x").alias("y"))
     return points.select("grp", "id", "x").join(other, "grp").groupBy("grp", "id").agg(F.sum(F.sqrt(squared(F.col("x"), F.col("y")))).alias("value"))
 

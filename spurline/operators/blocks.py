@@ -27,12 +27,18 @@ def _unit(x: F.Column) -> F.Column:
     return F.transform(x, lambda v: v / F.sqrt(F.aggregate(x, F.lit(0.0), lambda s, e: s + e * e)))
 
 
-def embedded(points: DataFrame, metric: str) -> DataFrame:
-    """``(grp, id, x)``, unit vectors for angles. Points that are null, hold nulls or other than finite numbers, and zero vectors under
-    angles, have no distances and are left out."""
+def measurable(points: DataFrame, metric: str = "euclidean") -> DataFrame:
+    """``(grp, id, x)`` of the points that have distances: not those without id, with a null vector, with nulls or other than finite
+    numbers in it, or, under angles, of length zero."""
     fine = F.forall("x", lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < float("inf")))
     out = points.select("grp", "id", F.col("x").cast("array<double>").alias("x")).where(F.col("id").isNotNull() & F.coalesce(fine, F.lit(False)))
-    return out.where(F.exists("x", lambda v: v != 0)).withColumn("x", _unit(F.col("x"))) if metric == "angular" else out
+    return out.where(F.exists("x", lambda v: v != 0)) if metric == "angular" else out
+
+
+def embedded(points: DataFrame, metric: str) -> DataFrame:
+    """:func:`measurable` points, as unit vectors for angles."""
+    out = measurable(points, metric)
+    return out.withColumn("x", _unit(F.col("x"))) if metric == "angular" else out
 
 
 def split(points: DataFrame, size: int = BLOCK_POINTS) -> tuple[DataFrame, DataFrame]:
@@ -129,17 +135,16 @@ def lengths(a: np.ndarray, b: np.ndarray, metric: str) -> np.ndarray:
     """Distances of all rows of ``a`` to all of ``b``, axis by axis, so that both orders of a pair and all engines agree."""
     out = np.zeros((len(a), len(b)))
     for i in range(a.shape[1]):
-        if metric == "angular":
-            out += a[:, i, None] * b[None, :, i]
-            continue
         gap = np.abs(a[:, i, None] - b[None, :, i])
-        if metric == "euclidean":
+        if metric in ("euclidean", "angular"):
             out += gap * gap
         elif metric == "manhattan":
             out += gap
         else:
             np.maximum(out, gap, out=out)
-    return np.sqrt(out) if metric == "euclidean" else np.arccos(np.clip(out, -1, 1)) if metric == "angular" else out
+    if metric == "angular":  # of unit vectors, from the chord: small angles keep their digits
+        return 2 * np.arcsin(np.minimum(np.sqrt(out) / 2, 1))
+    return np.sqrt(out) if metric == "euclidean" else out
 
 
 def _vectors(t: pa.Table, name: str = "x") -> np.ndarray:

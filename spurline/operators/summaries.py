@@ -11,7 +11,7 @@ from spurline.operators.baselines import kmeans
 from spurline.operators.components import components
 from spurline.operators.forest import spanning_forest
 from spurline.operators.neighbors import mutual_reach, squared
-from spurline.runtime import materialise
+from spurline.runtime import fresh, materialise
 
 #: Centres that a skeleton compares with each other.
 SKELETON_CENTRES = 2_000
@@ -139,8 +139,9 @@ def pca(points: DataFrame, dims: int) -> DataFrame:
     from pyspark.ml.feature import PCA
     from pyspark.ml.functions import array_to_vector, vector_to_array
 
-    rows = points.withColumn("_v", array_to_vector("x"))
-    return PCA(k=dims, inputCol="_v", outputCol="_p").fit(rows).transform(rows).withColumn("x", vector_to_array("_p")).drop("_v", "_p")
+    v, low = fresh("v", points), fresh("low", points)
+    rows = points.withColumn(v, array_to_vector("x"))
+    return PCA(k=dims, inputCol=v, outputCol=low).fit(rows).transform(rows).withColumn("x", vector_to_array(low)).drop(v, low)
 
 
 def gaussian_mixture(points: DataFrame, k: int, seed: int = 1) -> DataFrame:
@@ -148,6 +149,7 @@ def gaussian_mixture(points: DataFrame, k: int, seed: int = 1) -> DataFrame:
     from pyspark.ml.clustering import GaussianMixture
     from pyspark.ml.functions import array_to_vector, vector_to_array
 
-    rows = points.withColumn("_v", array_to_vector("x"))
-    found = GaussianMixture(k=k, seed=seed, featuresCol="_v", predictionCol="label", probabilityCol="_p").fit(rows).transform(rows)
-    return found.withColumn("p", vector_to_array("_p")).drop("_v", "_p")
+    v, q = fresh("v", points), fresh("q", points)
+    rows = points.withColumn(v, array_to_vector("x"))
+    found = GaussianMixture(k=k, seed=seed, featuresCol=v, predictionCol="label", probabilityCol=q).fit(rows).transform(rows)
+    return found.withColumn("p", vector_to_array(q)).drop(v, q)

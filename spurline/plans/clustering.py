@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spurline.operators import kernels as K
+from spurline.operators.blocks import measurable
 from spurline.params import BranchParams
 from spurline.runtime import materialise
 
@@ -20,14 +21,11 @@ def _points(pdf: pd.DataFrame) -> tuple[pd.DataFrame, np.ndarray]:
     if len(pdf) > KERNEL_POINTS:
         raise ValueError(f"a group of {len(pdf)} points is over the kernel's {KERNEL_POINTS}")
     pdf = pdf.sort_values("id", kind="stable")
-    x = np.array(pdf["x"].tolist(), float).reshape(len(pdf), -1)
-    if not np.isfinite(x).all():
-        raise ValueError("points must be finite")
-    return pdf, x
+    return pdf, np.array(pdf["x"].tolist(), float).reshape(len(pdf), -1)
 
 
-def per_group(points: DataFrame, schema: str, make) -> DataFrame:
-    """``make(x, ids)`` returns columns for each group ``grp`` of ``points`` (``grp, id, x``).
+def per_group(points: DataFrame, schema: str, make, metric: str = "euclidean") -> DataFrame:
+    """``make(x, ids)`` returns columns for each group ``grp`` of ``points`` (``grp, id, x``); points without distances are left out.
 
     The number of partitions is given, so that few bytes with much work are not put together in one task at run time.
     """
@@ -36,11 +34,11 @@ def per_group(points: DataFrame, schema: str, make) -> DataFrame:
         pdf, x = _points(pdf)
         return pd.DataFrame({"grp": grp, **make(x, pdf["id"].to_numpy())})
 
-    return spread(points).groupBy("grp").applyInPandas(run, schema)
+    return spread(points, metric).groupBy("grp").applyInPandas(run, schema)
 
 
-def spread(points: DataFrame) -> DataFrame:
-    return points.select("grp", "id", "x").repartition(int(points.sparkSession.conf.get("spark.sql.shuffle.partitions")), "grp")
+def spread(points: DataFrame, metric: str = "euclidean") -> DataFrame:
+    return measurable(points, metric).repartition(int(points.sparkSession.conf.get("spark.sql.shuffle.partitions")), "grp")
 
 
 def by_size(points: DataFrame, limit: int, small, large) -> DataFrame:
@@ -67,7 +65,16 @@ def _branch_kernel(points: DataFrame, p: BranchParams) -> DataFrame:
         m = K.density(x, p)
         return {"id": ids, **K.combine(m, K.branches(x, m, p), p)}
 
-    return per_group(points, RESULT, make)
+    return per_group(points, RESULT, make, p.metric)
+
+
+def branches_by_signal(points: DataFrame, signal: DataFrame, p: BranchParams = BranchParams()) -> DataFrame:
+    """RESULT rows where ``signal`` (``grp, id, value``) stands in place of the eccentricity: branches are its peaks (``direction`` "min":
+    its valleys) in each cluster. Points without a value have the least of their cluster. Groups of any size."""
+    from spurline.plans import large
+
+    given = signal.withColumn("value", -F.col("value")) if p.direction == "min" else signal
+    return large.branches(large.density(points, p), p, given=given)
 
 
 def branch_grid(points: DataFrame, settings: list[BranchParams]) -> DataFrame:
@@ -97,7 +104,7 @@ def density_clusters(points: DataFrame, p: BranchParams = BranchParams(), limit:
         m = large.density(rows, p)
         return m.labels.join(m.core, ["grp", "id"], "left").select("grp", "id", "label", "strength", F.coalesce("core", F.lit(float("inf"))).alias("core"))
 
-    return by_size(points, limit, lambda rows: per_group(rows, "grp string, id long, label int, strength double, core double", make), joined)
+    return by_size(points, limit, lambda rows: per_group(rows, "grp string, id long, label int, strength double, core double", make, p.metric), joined)
 
 
 def density_grid(points: DataFrame, settings: list[BranchParams]) -> DataFrame:
@@ -121,7 +128,7 @@ def memberships(points: DataFrame, p: BranchParams = BranchParams()) -> DataFram
         got = pd.concat(out) if out else pd.DataFrame({k: [] for k in ("id", "cluster", "branch", "d_geo", "p", "weighted")})
         return {c: got[c].to_numpy() for c in got.columns}
 
-    return per_group(points, "grp string, id long, cluster int, branch int, d_geo double, p double, weighted double", make)
+    return per_group(points, "grp string, id long, cluster int, branch int, d_geo double, p double, weighted double", make, p.metric)
 
 
 def condensed(points: DataFrame, p: BranchParams = BranchParams(), which: str = "cluster") -> DataFrame:
@@ -153,7 +160,7 @@ def condensed(points: DataFrame, p: BranchParams = BranchParams(), which: str =
         got = pd.concat(out) if out else rows(K.Tree(), [], -1)
         return {c: got[c].to_numpy() for c in got.columns}
 
-    return per_group(points, "grp string, cluster int, node int, parent int, birth double, top double, size long, stability double, selected boolean, x0 double, x1 double", make)
+    return per_group(points, "grp string, cluster int, node int, parent int, birth double, top double, size long, stability double, selected boolean, x0 double, x1 double", make, p.metric)
 
 
 def single_linkage_cut(points: DataFrame, at: float) -> DataFrame:

@@ -11,7 +11,7 @@ from spurline.operators import baselines, measures
 from spurline.operators import condense as C
 from spurline.operators import kernels as K
 from spurline.operators import neighbors as N
-from spurline.operators.blocks import embedded
+from spurline.operators.blocks import measurable
 from spurline.operators.forest import spanning_forest
 from spurline.operators.reach import reach_tree
 from spurline.operators.summaries import graph_full
@@ -36,8 +36,7 @@ class DensityModel:
 
 def density(points: DataFrame, p: BranchParams, task_edges: int = C.TASK_EDGES) -> DensityModel:
     """Points that hold nulls or other than finite numbers are left out; ids are distinct within a group."""
-    sound = embedded(points, "euclidean" if p.metric != "angular" else "angular").select("grp", "id")
-    points = materialise(points.select("grp", "id", F.col("x").cast("array<double>").alias("x")).join(sound, ["grp", "id"], "left_semi"), "points")
+    points = materialise(measurable(points, p.metric), "points")
     tree, core, near = reach_tree(points, p.min_samples, p.metric)
     exits, nodes = C.condense(tree.select("grp", "u", "v", (1.0 / F.greatest("w", F.lit(K.MIN_GAP))).alias("level")), p.min_cluster_size, max(task_edges, p.min_cluster_size))
     picked = C.pick(exits, nodes, p.cluster_selection, p.allow_single_cluster, p.cluster_epsilon)

@@ -25,7 +25,7 @@ def density_model(points: DataFrame, p: BranchParams = BranchParams()) -> DataFr
             near[int(b)], far[int(b)] = int(ids[int(a)]), float(w)
         return pd.DataFrame({"grp": grp, "id": ids, "x": pdf["x"].tolist(), "label": m.label, "strength": m.strength, "core": m.core, "tree_nbr": pd.array(near, "Int64"), "tree_w": pd.array(far, "Float64")})
 
-    return spread(points).groupBy("grp").applyInPandas(run, MODEL)
+    return spread(points, p.metric).groupBy("grp").applyInPandas(run, MODEL)
 
 
 def branches_of(model: DataFrame, p: BranchParams) -> DataFrame:

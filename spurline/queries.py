@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from spurline.operators import baselines as B
 from spurline.operators import kernels as K
 from spurline.operators import neighbors as N
+from spurline.operators import summaries as Y
 from spurline.operators.blocks import knn
 from spurline.operators.components import components
 from spurline.operators.forest import spanning_forest
@@ -191,8 +192,7 @@ def star_single_linkage_cut(spark, d):
 
 
 def _pair_edges(p: DataFrame, radius: float) -> DataFrame:
-    both = p.select("grp", F.col("id").alias("u"), F.col("x").alias("a")).join(p.select("grp", F.col("id").alias("v"), F.col("x").alias("b")), "grp").where("u < v")
-    return both.select("grp", "u", "v", F.sqrt(N.squared(F.col("a"), F.col("b"))).alias("d")).where(F.col("d") <= radius)
+    return Y.radius_pairs(p, p.select("grp").distinct().withColumn("reach", F.lit(radius)))
 
 
 _SUMS = "t AS (SELECT id, sum(sqrt(d2)) / 1e4 AS total FROM pairs GROUP BY id)"
@@ -323,9 +323,7 @@ def star_label_adjacency(spark, d):
     """Which groups of a sample touch, over how many edges, and the strongest level of those."""
     p = star(spark, d)
     found = materialise(C.branch_clusters(p, BEST).select("grp", "id", "label"), "labels")
-    e = N.level_edges(_core_graph(spark, d), _signal(spark, d))
-    e = e.join(found.select("grp", F.col("id").alias("u"), F.col("label").alias("a")), ["grp", "u"]).join(found.select("grp", F.col("id").alias("v"), F.col("label").alias("b")), ["grp", "v"])
-    return e.where("a <> b").groupBy("grp", F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg(F.count(F.lit(1)).alias("edges"), F.max("level").alias("level"))
+    return Y.label_adjacency(found, N.level_edges(_core_graph(spark, d), _signal(spark, d)))
 
 
 @query()
@@ -336,7 +334,7 @@ def star_core_forest(spark, d):
 
 @query()
 def walk_branches(spark, d):
-    """All walks as one cloud; a cloud over the kernel's points raises."""
+    """All walks as one cloud."""
     return C.branch_clusters(W.walk_points(table(spark, d, "events")), BranchParams(min_samples=10, min_cluster_size=100, min_branch_size=20, allow_single_cluster=True))
 
 
@@ -382,8 +380,11 @@ def duplicate_texts(spark, d):
 
 @query("SELECT event_id, o_orderkey FROM (SELECT event_id, o_orderkey, row_number() OVER (PARTITION BY event_id ORDER BY o_orderdate DESC, o_orderkey DESC) AS r FROM events JOIN orders ON o_custkey = user_id AND o_orderdate <= ts) WHERE r = 1")
 def asof_order_before_event(spark, d):
-    e, o = table(spark, d, "events"), table(spark, d, "orders")
-    return e.join(o, (F.col("o_custkey") == F.col("user_id")) & (F.col("o_orderdate") <= F.col("ts"))).groupBy("event_id").agg(F.max_by("o_orderkey", F.struct("o_orderdate", "o_orderkey")).alias("o_orderkey"))
+    """Both tables in one, by user and time: the last order not after an event, without forming the earlier ones."""
+    o = table(spark, d, "orders").select(F.col("o_custkey").alias("user_id"), F.col("o_orderdate").alias("ts"), F.lit(None).cast("long").alias("event_id"), "o_orderkey")
+    both = table(spark, d, "events").where("user_id is not null").select("user_id", "ts", "event_id", F.lit(None).cast("long").alias("o_orderkey")).unionByName(o)
+    w = Window.partitionBy("user_id").orderBy("ts", F.col("event_id").isNotNull(), "o_orderkey").rowsBetween(Window.unboundedPreceding, 0)
+    return both.withColumn("o_orderkey", F.last("o_orderkey", ignorenulls=True).over(w)).where("event_id is not null and o_orderkey is not null").select("event_id", "o_orderkey")
 
 
 @query(f"WITH {PAIRS} SELECT s.id FROM s WHERE NOT EXISTS (SELECT 1 FROM pairs p WHERE p.id = s.id AND d2 <= 1000000)")

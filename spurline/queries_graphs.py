@@ -194,7 +194,7 @@ bar_branches, bar_sides = _branches_of_shape("bar"), _branches_of_shape("bar", l
 
 @query()
 def profile_branches(spark, d):
-    """All customers as one cloud; a cloud over the kernel's points raises."""
+    """All customers as one cloud."""
     p = W.profile_points(table(spark, d, "customer"), table(spark, d, "orders")).withColumn("grp", F.lit("profiles"))
     return C.branch_clusters(p, BranchParams(min_samples=5, min_cluster_size=100, min_branch_size=5, allow_single_cluster=True))
 

@@ -202,3 +202,17 @@ def embedding_points(embeddings: DataFrame) -> DataFrame:
     x = F.transform("embedding", lambda v: v.cast("double"))
     sound = ~F.exists("x", lambda v: v.isNull() | F.isnan(v) | (F.abs(v) == float("inf"))) & F.exists("x", lambda v: v != 0)
     return embeddings.select(F.lit("atlas").alias("grp"), F.col("vec_id").alias("id"), x.alias("x")).where(sound)
+
+
+def text_points(documents: DataFrame, dims: int = 8, buckets: int = 1 << 12) -> DataFrame:
+    """``(grp, id, x)``: each distinct text (its least id) by hashed character trigrams, weighted by rarity, of length one, on their
+    strongest principal components. Texts of under three characters have no point."""
+    from pyspark.ml import Pipeline
+    from pyspark.ml.feature import IDF, PCA, HashingTF, Normalizer
+    from pyspark.ml.functions import vector_to_array
+
+    t = documents.where("length(text) > 2").groupBy("text").agg(F.min("doc_id").alias("id"))
+    t = t.select("id", F.expr("transform(sequence(1, length(text) - 2), i -> lower(substr(text, i, 3)))").alias("grams"))
+    steps = [HashingTF(numFeatures=buckets, inputCol="grams", outputCol="tf"), IDF(inputCol="tf", outputCol="w"), Normalizer(inputCol="w", outputCol="unit"), PCA(k=dims, inputCol="unit", outputCol="low")]
+    found = Pipeline(stages=steps).fit(t).transform(t)
+    return found.select(F.lit("texts").alias("grp"), "id", vector_to_array("low").alias("x"))

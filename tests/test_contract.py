@@ -1,7 +1,7 @@
 import pytest
 from comparing import same
 
-from spurline import queries_graphs  # noqa: F401 - registers queries
+from spurline import queries_graphs, queries_more  # noqa: F401 - they register queries
 from spurline.queries import ORACLES, QUERIES
 
 
