@@ -153,3 +153,68 @@ def gaussian_mixture(points: DataFrame, k: int, seed: int = 1) -> DataFrame:
     rows = points.withColumn(v, array_to_vector("x"))
     found = GaussianMixture(k=k, seed=seed, featuresCol=v, predictionCol="label", probabilityCol=q).fit(rows).transform(rows)
     return found.withColumn("p", vector_to_array(q)).drop(v, q)
+
+
+#: Points of a group that a layout by forces takes.
+LAYOUT_POINTS = 5_000
+
+
+def layout(edges: DataFrame, points: DataFrame, dims: int = 2, repulsion: float = 1.0, rounds: int = 100) -> DataFrame:
+    """``(grp, id, x)``: a layout of each group's graph (``grp, u, v``) from where ``points`` (``grp, id, x``) are: edges pull, all points
+    push each other away by ``repulsion`` over the squared distance, less and less each round. One group is one task, of at most
+    LAYOUT_POINTS points; larger raise. Points lie on their first ``dims`` axes at first, equal ones apart on a fixed spiral."""
+    import numpy as np
+    import pandas as pd
+
+    def run(p: pd.DataFrame, e: pd.DataFrame) -> pd.DataFrame:
+        if len(p) > LAYOUT_POINTS:
+            raise ValueError(f"a layout of {len(p)} points; at most {LAYOUT_POINTS}")
+        p = p.sort_values("id", kind="stable").reset_index(drop=True)
+        n, place = len(p), {i: j for j, i in enumerate(p["id"])}
+        raw = np.array(p["x"].tolist(), float).reshape(n, -1)[:, :dims]
+        x = np.zeros((n, dims))
+        x[:, : raw.shape[1]] = raw
+        x = (x - x.mean(0)) / max(float(x.std()), 1e-12)
+        angle = np.arange(n) * 2.399963229728653  # the golden angle
+        x[:, 0] += 1e-3 * np.cos(angle)
+        x[:, -1] += 1e-3 * np.sin(angle)
+        inside = e[e["u"].isin(place) & e["v"].isin(place)]
+        u, v = (inside[c].map(place).to_numpy(int) for c in "uv")
+        for r in range(rounds):
+            force = np.zeros_like(x)
+            for at in range(0, n, 512):
+                gap = x[at : at + 512, None, :] - x[None, :, :]
+                force[at : at + 512] += (gap * (repulsion / n / np.maximum((gap * gap).sum(2), 1e-4))[:, :, None]).sum(1)
+            pull = x[v] - x[u]
+            np.add.at(force, u, pull)
+            np.add.at(force, v, -pull)
+            step = 0.1 * (1 - r / rounds)
+            size = np.linalg.norm(force, axis=1, keepdims=True)
+            x += step * force / np.maximum(size, 1.0)
+        return pd.DataFrame({"grp": p["grp"], "id": p["id"], "x": list(x)})
+
+    side = lambda df, *c: df.select("grp", *c).groupBy("grp")
+    return side(points, "id", "x").cogroup(side(edges, "u", "v")).applyInPandas(run, "grp string, id long, x array<double>")
+
+
+def sample_stability(a: DataFrame, b: DataFrame) -> DataFrame:
+    """``(grp, points, ari)``: how alike two labelled samples of one shape are (``grp, id, x, label``): every point of ``a`` takes the label
+    of the point of ``b`` nearest to it (ties to the smaller id), and the labels are compared. Both sides of a group go to one task."""
+    import numpy as np
+    import pandas as pd
+
+    from spurline.plans.clustering import KERNEL_POINTS, adjusted_rand
+
+    def run(p: pd.DataFrame, q: pd.DataFrame) -> pd.DataFrame:
+        if max(len(p), len(q)) > KERNEL_POINTS:
+            raise ValueError(f"samples of over {KERNEL_POINTS} points")
+        if not len(p) or not len(q):
+            return pd.DataFrame({"grp": pd.Series([], dtype=object), "own": pd.Series([], dtype="int32"), "other": pd.Series([], dtype="int32")})
+        q = q.sort_values("id", kind="stable")
+        x, y = (np.array(t["x"].tolist(), float) for t in (p, q))
+        near = [int(((y - v) ** 2).sum(1).argmin()) for v in x]
+        return pd.DataFrame({"grp": p["grp"].iloc[0], "own": p["label"].to_numpy(), "other": q["label"].to_numpy()[near]})
+
+    side = lambda df: df.select("grp", "id", "x", "label").groupBy("grp")
+    both = materialise(side(a).cogroup(side(b)).applyInPandas(run, "grp string, own int, other int"), "samples")
+    return both.groupBy("grp").agg(F.count(F.lit(1)).alias("points")).join(adjusted_rand(both, "own", "other", ("grp",)), "grp")

@@ -221,7 +221,7 @@ def horseshoe_points(spark, d):
     return W.horseshoe_points(table(spark, d, "customer")).select("grp", "id", "part", *[(F.round(F.get("x", F.lit(i)), 5) + 0.0).alias(f"x{i}") for i in range(3)])
 
 
-@query("SELECT doc_id, count(DISTINCT substr(t, i, 3)) AS trigrams FROM (SELECT doc_id, lower(text) AS t FROM documents), range(1, 200000) r(i) WHERE i <= length(t) - 2 GROUP BY doc_id")
+@query("SELECT doc_id, CAST(len(list_distinct(list_transform(range(1, length(t) - 1), lambda i: substr(t, i, 3)))) AS BIGINT) AS trigrams FROM (SELECT doc_id, lower(text) AS t FROM documents) WHERE length(t) > 2")
 def text_trigrams(spark, d):
     """Distinct character trigrams of each whole text."""
     t = table(spark, d, "documents").select("doc_id", F.lower("text").alias("t")).where("length(t) > 2")
@@ -295,3 +295,29 @@ def band_join(spark, d):
     bands = spark.range(3).select(F.col("id").alias("band"), F.element_at(F.array(F.lit(0.0), F.lit(1e5), F.lit(2e5)), (F.col("id") + 1).cast("int")).alias("lo"), F.element_at(F.array(F.lit(1e5), F.lit(2e5), F.lit(4e5)), (F.col("id") + 1).cast("int")).alias("hi"))
     o = table(spark, d, "orders").select("o_totalprice")
     return o.join(F.broadcast(bands), (F.col("o_totalprice") >= F.col("lo")) & (F.col("o_totalprice") < F.col("hi"))).groupBy("band").agg(F.count(F.lit(1)).alias("orders"))
+
+
+@query()
+def star_sample_stability(spark, d):
+    """Each sample of the worked star beside the next one: agreement of their branches."""
+    p = materialise(W.star_points(table(spark, d, "orders"), n_r=W.noises(1)), "stars")
+    rows = materialise(C.branch_clusters(p, BEST).select("grp", "id", "label").join(p.select("grp", "id", "x"), ["grp", "id"]), "labelled")
+    return Y.sample_stability(rows, rows.withColumn("grp", (F.col("grp").cast("long") - 1).cast("string")))
+
+
+@query()
+def star_layout(spark, d):
+    """The core graph of each sample laid out by forces."""
+    p = star(spark, d)
+    return Y.layout(_core_graph(spark, d), p, 2, repulsion=0.5, rounds=30)
+
+
+@query()
+def walk_cloud_groups(spark, d):
+    """Random walks in 2, 8 and 16 dimensions, eight starts: groups found by density."""
+    out = None
+    for dims in (2, 8, 16):
+        p = W.walk_cloud(table(spark, d, "events"), dims, 8).withColumn("grp", F.lit(str(dims)))
+        out = p if out is None else out.unionByName(p)
+    found = C.density_clusters(materialise(out, "clouds"), BranchParams(min_samples=10, min_cluster_size=100, allow_single_cluster=True))
+    return found.groupBy("grp").agg(F.count(F.lit(1)).alias("points"), F.countDistinct(F.when(F.col("label") >= 0, F.col("label"))).alias("groups"))

@@ -100,6 +100,31 @@ def walk_points(events: DataFrame, dims: int = 2, steps: int = 50) -> DataFrame:
     return rows.select(F.lit("walks").alias("grp"), (F.col("user_id") * steps + F.col("step")).cast("long").alias("id"), "user_id", F.col("step").cast("long").alias("step"), "start", *[f"p{i}" for i in range(dims)], F.array(*[F.col(f"p{i}") / 1e4 for i in range(dims)]).alias("x"))
 
 
+def walk_cloud(events: DataFrame, dims: int, starts: int, sample: int = 0, steps: int = 50, walks: int = 5) -> DataFrame:
+    """``(grp, id, start, x)``: ``starts`` starting points with ``walks`` walks of ``steps`` steps from each.
+
+    The users' walks are dealt to the starts in turn. Where there are more starts than users can serve, users walk again with
+    their steps' axes moved on by one each time; ``sample`` moves axes and starting points.
+    """
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    rows = events.where("user_id is not null").withColumn("step", F.row_number().over(w)).where(F.col("step") <= steps)
+    full = rows.groupBy("user_id").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") == steps).select("user_id")
+    numbered = full.withColumn("place", F.row_number().over(Window.orderBy("user_id")) - 1)  # users are few beside their events
+    users = numbered.count()
+    if not users:
+        raise ValueError(f"no user has {steps} events")
+    again = -(-starts * walks // users)
+    rows = rows.join(numbered, "user_id").withColumn("turn", F.explode(F.sequence(F.lit(0), F.lit(again - 1))))
+    rows = rows.withColumn("walk", F.col("turn") * users + F.col("place")).where(F.col("walk") < starts * walks)
+    axis = F.pmod(F.col("event_id") + F.col("turn") + sample, F.lit(dims))
+    run = Window.partitionBy("walk").orderBy("step").rowsBetween(Window.unboundedPreceding, 0)
+    start, size = F.floor(F.col("walk") / walks).cast("long"), walk_step() / 1e4
+    side = 0.1 * math.sqrt(float(steps)) * (5.0 * starts) ** (1.0 / dims)
+    offset = lambda i: side * _frac(start.cast("double") * OFFSETS[i % len(OFFSETS)] + 0.5 + 0.1 * sample + 0.37 * (i // len(OFFSETS)))
+    x = F.array(*[F.sum(F.when(axis == i, size).otherwise(0.0)).over(run) + offset(i) for i in range(dims)])
+    return rows.select(F.lit("cloud").alias("grp"), (F.col("walk") * steps + F.col("step")).cast("long").alias("id"), start.alias("start"), x.alias("x"))
+
+
 def walk_sql(dims: int = 2, steps: int = 50) -> str:
     side = 0.1 * math.sqrt(50.0)
     ps = ", ".join(f"""CAST(sum(CASE WHEN event_id % {dims} = {i} THEN size ELSE 0 END) OVER (PARTITION BY user_id ORDER BY step)

@@ -254,3 +254,51 @@ def test_one_data_set_is_one_cloud(spark, tmp_path, name):
     want = dict(zip([r.id for r in rows], K.combine(m, K.branches(x, m, p), p)["label"].tolist(), strict=True))
     got = QUERIES[name](spark, d).collect()
     assert len({r.grp for r in got}) == 1 and {r.id: r.label for r in got} == want
+
+
+def test_layout_parts_components(spark):
+    """Two triangles that overlap: ends of edges come to lie nearer to each other than the triangles do."""
+    import numpy as np
+
+    points = spark.createDataFrame([("a", i, [float(i // 3) + 0.1 * (i % 3), 0.5 * (i % 2), 1.0]) for i in range(6)], "grp string, id long, x array<double>")
+    edges = spark.createDataFrame([("a", 0, 1), ("a", 1, 2), ("a", 0, 2), ("a", 3, 4), ("a", 4, 5), ("a", 3, 5)], "grp string, u long, v long")
+    at = {r.id: np.array(r.x) for r in Y.layout(edges, points, 2, repulsion=1.0).collect()}
+    assert len(at) == 6 and all(np.isfinite(x).all() for x in at.values())
+    within = max(np.linalg.norm(at[i] - at[j]) for i, j in ((0, 1), (1, 2), (3, 4), (4, 5)))
+    assert np.linalg.norm((at[0] + at[1] + at[2]) / 3 - (at[3] + at[4] + at[5]) / 3) > within / 2
+
+
+def test_stability_of_samples(spark):
+    rows = [("a", i, [float(i), float(i % 2)], int(i >= 10)) for i in range(20)] + [("b", 0, [0.0, 0.0], 0)]
+    a = spark.createDataFrame(rows, "grp string, id long, x array<double>, label int")
+    moved = spark.createDataFrame([(g, i, [x[0] + 0.2, x[1]], 7 - k) for g, i, x, k in rows if g == "a"], a.schema)
+    got = {r.grp: (r.points, r.ari) for r in Y.sample_stability(a, moved).collect()}
+    assert got == {"a": (20, 1.0)}
+
+
+def test_timing_experiment(spark, tmp_path):
+    """Two sizes, two methods; the cut-off stops the larger size; metrics of an event log."""
+    import json
+
+    from spurline import timing
+    from spurline.runtime import table
+
+    events = table(spark, "/root/testdata/sf0.001", "events")
+    records = timing.run(spark, events, dimensions=(2,), starts=(2, 4), samples=1, methods=("kmeans", "density"), cut_off=0.0)
+    assert [(r["n"], r["method"]) for r in records] == [(500, "kmeans"), (500, "density")]
+    assert all(r["groups"] >= 1 and "error" not in r for r in records)
+    got = timing.report(spark, records)
+    assert got["times"].count() == 2 and got["overhead"].count() == 0
+    log = tmp_path / "log"
+    log.write_text("\n".join(map(json.dumps, [{"Event": "SparkListenerTaskEnd", "Task Metrics": {"Executor CPU Time": 2e9, "Shuffle Write Metrics": {"Shuffle Bytes Written": 5}, "Disk Bytes Spilled": 1}}, {"Event": "SparkListenerStageCompleted"}])))
+    assert timing.spark_metrics(str(log)) == {"tasks": 1, "cpu_seconds": 2.0, "shuffle_written": 5, "shuffle_read": 0, "spilled": 1, "peak_task_memory": 0, "stages": 1}
+
+
+def test_walk_clouds(spark):
+    from spurline.runtime import table
+    from spurline.sources.workloads import walk_cloud
+
+    events = table(spark, "/root/testdata/sf0.001", "events")
+    for dims, starts in ((2, 2), (8, 7), (16, 3)):
+        rows = walk_cloud(events, dims, starts, sample=1).collect()
+        assert len(rows) == len({r.id for r in rows}) == 250 * starts and {r.start for r in rows} == set(range(starts)) and all(len(r.x) == dims for r in rows)
