@@ -84,13 +84,15 @@ def edge_lipschitz(spark, d):
     return M.lipschitz(e).select("grp", F.round("constant", 6).alias("constant"))
 
 
-@query("SELECT CAST(2 AS DOUBLE) AS slope, CAST(0.5 AS DOUBLE) AS bend, CAST(10 AS BIGINT) AS sizes")
+@query("""WITH t AS (SELECT o_orderstatus AS status, ln(o_orderkey + 1) AS lx, ln(o_totalprice) AS y FROM orders), c AS (SELECT status, lx - avg(lx) OVER (PARTITION BY status) AS x, y FROM t),
+ s AS (SELECT status, count(*) AS s0, sum(x * x) AS s2, sum(x * x * x) AS s3, sum(x * x * x * x) AS s4, sum(y) AS t0, sum(x * y) AS t1, sum(x * x * y) AS t2 FROM c GROUP BY status),
+ f AS (SELECT *, (t2 - s2 * t0 / s0 - s3 * t1 / s2) / (s4 - s2 * s2 / s0 - s3 * s3 / s2) AS bend FROM s)
+SELECT status, round((t1 - s3 * bend) / s2, 5) + 0.0 AS slope, round(bend, 5) + 0.0 AS bend, s0 AS sizes FROM f""")
 def scaling_fit(spark, d):
-    """A known curve comes back: seconds grow with the square of the mean size, with a bend of one half."""
-    n = spark.range(10).select(F.lit("a").alias("method"), F.pow(F.lit(2.0), F.col("id") + 4.0).alias("n"))
-    x = F.log("n") - 8.5 * F.log(F.lit(2.0))
-    fit = M.scaling_fit(n.withColumn("seconds", F.exp(1.0 + 2.0 * x + 0.5 * x * x)), ("method",))
-    return fit.groupBy(F.round("slope", 6).alias("slope"), F.round("bend", 6).alias("bend")).agg(F.count(F.lit(1)).alias("sizes"))
+    """The fit of run times to sizes, over order keys as sizes and prices as seconds."""
+    rows = table(spark, d, "orders").select(F.col("o_orderstatus").alias("status"), (F.col("o_orderkey") + 1).cast("double").alias("n"), F.col("o_totalprice").cast("double").alias("seconds"))
+    fit = M.scaling_fit(rows, ("status",))
+    return fit.groupBy("status").agg((F.round(F.first("slope"), 5) + 0.0).alias("slope"), (F.round(F.first("bend"), 5) + 0.0).alias("bend"), F.count(F.lit(1)).alias("sizes"))
 
 
 def _near(spark, d) -> tuple[DataFrame, DataFrame]:

@@ -16,6 +16,9 @@ def spark():
     )
     s.sparkContext.setLogLevel("ERROR")
     yield s
+    from spurline.runtime import clean
+
+    clean(s)
 
 
 SF = "/root/testdata/sf0.01"
