@@ -276,6 +276,32 @@ class SummedTree(K.Tree):
         return out, [new[h] for h in home], cap
 
 
+def _with_counts(points: DataFrame, nodes: DataFrame) -> DataFrame:
+    told = points.groupBy("grp", "node_c", "node_s").agg(F.count(F.lit(1)).alias("n"), F.sum("level").alias("total"), F.max("level").alias("most"))
+    return nodes.join(told, ["grp", "node_c", "node_s"], "left")
+
+
+def _tree_of(pdf):
+    """The rows of one group's nodes, children before their parents, and their tree."""
+    if len(pdf) > TASK_NODES:
+        raise ValueError(f"{len(pdf)} nodes in a tree; at most {TASK_NODES} are selected from")
+    pdf = pdf.sort_values(["birth", "size", "node_c"], ascending=[False, True, True], kind="stable").reset_index(drop=True)
+    place = {x: i for i, x in enumerate(zip(pdf["node_c"], pdf["node_s"], strict=True))}
+    parent = [place.get((c, s), -1) for c, s in zip(pdf["parent_c"], pdf["parent_s"], strict=True)]
+    return pdf, SummedTree(parent, pdf["birth"], pdf["size"].astype(int), pdf["n"].fillna(0).astype(int), pdf["total"].fillna(0.0), pdf["most"].fillna(-np.inf))
+
+
+def tree_table(points: DataFrame, nodes: DataFrame, make, schema: str, persistence: float = 0.0) -> DataFrame:
+    """``make(tree)``'s columns for each group's tree, after pruning; see :func:`pick` for its bound."""
+    import pandas as pd
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        grp = pdf["grp"].iloc[0]
+        return make(_tree_of(pdf)[1].pruned(persistence)[0]).assign(grp=grp)
+
+    return _with_counts(points, nodes).groupBy("grp").applyInPandas(run, schema)
+
+
 PICKED = "grp string, node_c long, node_s long, home_c long, home_s long, top double, cap double, chosen int, whole boolean"
 
 
@@ -285,17 +311,10 @@ def pick(points: DataFrame, nodes: DataFrame, how: str, allow_root: bool, epsilo
 
     One task takes the nodes of one group, which are fewer than its points over half the least size; over TASK_NODES raise.
     """
-    told = points.groupBy("grp", "node_c", "node_s").agg(F.count(F.lit(1)).alias("n"), F.sum("level").alias("total"), F.max("level").alias("most"))
-    rows = nodes.join(told, ["grp", "node_c", "node_s"], "left")
-
     def run(key, t):
         pdf = t.to_pandas()
-        if len(pdf) > TASK_NODES:
-            raise ValueError(f"{len(pdf)} nodes in a tree; at most {TASK_NODES} are selected from")
-        pdf = pdf.sort_values(["birth", "size", "node_c"], ascending=[False, True, True], kind="stable").reset_index(drop=True)
-        place = {x: i for i, x in enumerate(zip(pdf["node_c"], pdf["node_s"], strict=True))}
-        parent = [place.get((c, s), -1) for c, s in zip(pdf["parent_c"], pdf["parent_s"], strict=True)]
-        tree, home, cap = SummedTree(parent, pdf["birth"], pdf["size"].astype(int), pdf["n"].fillna(0).astype(int), pdf["total"].fillna(0.0), pdf["most"].fillna(-np.inf)).pruned(persistence)
+        pdf, whole_tree = _tree_of(pdf)
+        tree, home, cap = whole_tree.pruned(persistence)
         chosen = K.select(tree, how, allow_root, epsilon)
         top, at = tree.top(), [-1] * len(tree.parent)
         own, kids = set(chosen), tree.children()
@@ -313,7 +332,7 @@ def pick(points: DataFrame, nodes: DataFrame, how: str, allow_root: bool, epsilo
         none = lambda x, of: None if x is None else of[x]
         return pa.table({"grp": pa.array([key[0].as_py()] * len(pdf), pa.string()), "node_c": pa.array(c, pa.int64()), "node_s": pa.array(s, pa.int64()), "home_c": pa.array([none(x, c) for x in named], pa.int64()), "home_s": pa.array([none(x, s) for x in named], pa.int64()), "top": pa.array([float(top[at[h]]) if at[h] >= 0 else None for h in home], pa.float64()), "cap": pa.array(cap, pa.float64()), "chosen": pa.array([len(chosen)] * len(pdf), pa.int32()), "whole": pa.array([whole] * len(pdf), pa.bool_())})
 
-    return materialise(rows.groupBy("grp").applyInArrow(run, PICKED), "picked")
+    return materialise(_with_counts(points, nodes).groupBy("grp").applyInArrow(run, PICKED), "picked")
 
 
 def flat_labels(vertices: DataFrame, points: DataFrame, picked: DataFrame) -> DataFrame:

@@ -116,8 +116,12 @@ def density_grid(points: DataFrame, settings: list[BranchParams]) -> DataFrame:
     return per_group(points, "grp string, id long, label int, setting int", make)
 
 
-def memberships(points: DataFrame, p: BranchParams = BranchParams()) -> DataFrame:
-    """``(grp, id, cluster, branch, d_geo, p, weighted)``: softmax memberships of every point in each branch of its cluster."""
+MEMBERSHIPS = "grp string, id long, cluster int, branch int, d_geo double, p double, weighted double"
+
+
+def memberships(points: DataFrame, p: BranchParams = BranchParams(), limit: int = KERNEL_POINTS) -> DataFrame:
+    """``(grp, id, cluster, branch, d_geo, p, weighted)``: softmax memberships of every point in each branch of its cluster. Groups of any
+    size; see :func:`branch_clusters`."""
     def make(x, ids):
         m, out = K.density(x, p), []
         for c, b in enumerate(K.branches(x, m, p)):
@@ -128,39 +132,53 @@ def memberships(points: DataFrame, p: BranchParams = BranchParams()) -> DataFram
         got = pd.concat(out) if out else pd.DataFrame({k: [] for k in ("id", "cluster", "branch", "d_geo", "p", "weighted")})
         return {c: got[c].to_numpy() for c in got.columns}
 
-    return per_group(points, "grp string, id long, cluster int, branch int, d_geo double, p double, weighted double", make, p.metric)
+    def joined(rows: DataFrame) -> DataFrame:
+        from spurline.plans import large
+
+        return large.memberships(large.density(rows, p), p)
 
+    return by_size(points, limit, lambda rows: per_group(rows, MEMBERSHIPS, make, p.metric), joined)
+
+
+TREES = "grp string, cluster int, node int, parent int, birth double, top double, size long, stability double, selected boolean, x0 double, x1 double"
 
-def condensed(points: DataFrame, p: BranchParams = BranchParams(), which: str = "cluster") -> DataFrame:
-    """Nodes of the cluster tree or of all branch trees: ``(grp, cluster, node, parent, birth, top, size, stability, selected, x0, x1)``;
-    x0 and x1 are an icicle's sides, leaves beside each other by node."""
-    def rows(tree: K.Tree, chosen: list[int], c: int) -> pd.DataFrame:
-        kids, x0, x1 = tree.children(), {}, {}
-
-        def place(i: int, at: float) -> float:
-            x0[i], end = at, at
-            for k in kids[i]:
-                end = place(k, end)
-            x1[i] = max(end, at + tree.size[i])
-            return x1[i]
-
-        at = 0.0
-        for i, parent in enumerate(tree.parent):
-            if parent < 0:
-                at = place(i, at)
-        n = len(tree.parent)
-        return pd.DataFrame({"cluster": c, "node": range(n), "parent": tree.parent, "birth": tree.birth, "top": tree.top(), "size": tree.size, "stability": tree.stability(), "selected": [i in chosen for i in range(n)], "x0": [x0[i] for i in range(n)], "x1": [x1[i] for i in range(n)]})
 
+def tree_rows(tree: K.Tree, chosen: list[int], cluster: int) -> pd.DataFrame:
+    """A tree's nodes; x0 and x1 are an icicle's sides: a node is as wide as its points, or as its children beside each other."""
+    n, kids, own = len(tree.parent), tree.children(), set(chosen)
+    x0, x1, at = [0.0] * n, [0.0] * n, 0.0
+    for root in (i for i, p in enumerate(tree.parent) if p < 0):
+        todo = [(root, False)]
+        while todo:  # children from left to right, then their parent
+            i, done = todo.pop()
+            if done:
+                x1[i] = max(at, x0[i] + tree.size[i])
+                at = x1[i]
+            else:
+                x0[i] = at
+                todo.append((i, True))
+                todo += [(k, False) for k in reversed(kids[i])]
+    return pd.DataFrame({"cluster": cluster, "node": range(n), "parent": tree.parent, "birth": tree.birth, "top": tree.top(), "size": tree.size, "stability": tree.stability(), "selected": [i in own for i in range(n)], "x0": x0, "x1": x1})
+
+
+def condensed(points: DataFrame, p: BranchParams = BranchParams(), which: str = "cluster", limit: int = KERNEL_POINTS) -> DataFrame:
+    """Nodes of the cluster tree or of all branch trees: ``(grp, cluster, node, parent, birth, top, size, stability, selected, x0, x1)``;
+    x0 and x1 are an icicle's sides, leaves beside each other by node. Groups of any size; their nodes may be numbered otherwise."""
     def make(x, ids):
         m = K.density(x, p)
         if which == "cluster":
-            out = [rows(m.hierarchy, K.select(m.hierarchy, p.cluster_selection, p.allow_single_cluster, p.cluster_epsilon), -1)]
+            out = [tree_rows(m.hierarchy, K.select(m.hierarchy, p.cluster_selection, p.allow_single_cluster, p.cluster_epsilon), -1)]
         else:
-            out = [rows(b.tree, K.select(b.tree, p.branch_selection, False), c) for c, b in enumerate(K.branches(x, m, p))]
-        got = pd.concat(out) if out else rows(K.Tree(), [], -1)
+            out = [tree_rows(b.tree, K.select(b.tree, p.branch_selection, False), c) for c, b in enumerate(K.branches(x, m, p))]
+        got = pd.concat(out) if out else tree_rows(K.Tree(), [], -1)
         return {c: got[c].to_numpy() for c in got.columns}
 
-    return per_group(points, "grp string, cluster int, node int, parent int, birth double, top double, size long, stability double, selected boolean, x0 double, x1 double", make, p.metric)
+    def joined(rows: DataFrame) -> DataFrame:
+        from spurline.plans import large
+
+        return large.condensed(large.density(rows, p), p, which)
+
+    return by_size(points, limit, lambda rows: per_group(rows, TREES, make, p.metric), joined)
 
 
 def single_linkage_cut(points: DataFrame, at: float) -> DataFrame:

@@ -13,6 +13,7 @@ from spurline.operators import kernels as K
 from spurline.operators import neighbors as N
 from spurline.operators.blocks import measurable
 from spurline.operators.forest import spanning_forest
+from spurline.operators.memberships import softmax
 from spurline.operators.reach import reach_tree
 from spurline.operators.summaries import graph_full
 from spurline.params import BranchParams
@@ -116,41 +117,69 @@ def signal(m: DensityModel, members: DataFrame, edges: DataFrame, p: BranchParam
     return materialise(out.select(*keys, "id", "value"), "signal")
 
 
-def branches(m: DensityModel, p: BranchParams, task_edges: int = C.TASK_EDGES, given: DataFrame | None = None) -> DataFrame:
-    """RESULT rows of a density model; see :mod:`spurline.plans.clustering`. All clusters go through every step together.
+@dataclass
+class _BranchPass:
+    """What the branch pass over a density model makes: members ``grp, id, cluster, strength``; graph; exits and nodes by cluster, with
+    ``grp`` and ``cluster`` in one; clusters that are split ``grp, cluster, key, chosen``; their points ``grp, cluster, id, branch, bs, chosen``."""
 
-    ``given`` (``grp, id, value``): any signal in place of the eccentricity; points without a value have the least of their cluster.
-    """
-    keys = ["grp", "cluster"]
+    members: DataFrame
+    edges: DataFrame
+    exits: DataFrame
+    nodes: DataFrame
+    splits: DataFrame
+    found: DataFrame
+
+
+KEYS = ["grp", "cluster"]
+
+
+def _keyed(df: DataFrame) -> DataFrame:
+    return df.withColumn("grp", F.concat_ws("\n", *KEYS))
+
+
+def _branch_pass(m: DensityModel, p: BranchParams, task_edges: int = C.TASK_EDGES, given: DataFrame | None = None) -> _BranchPass:
     members = m.labels.where("label >= 0").select("grp", "id", F.col("label").alias("cluster"), "strength")
     edges = materialise(cluster_graph(m, members.drop("strength"), p), "cluster-graph")
     if given is None:
         value = signal(m, members, edges, p)
     else:
-        own = members.select(*keys, "id").join(given.select("grp", "id", F.col("value").cast("double").alias("value")), ["grp", "id"], "left")
-        value = materialise(own.withColumn("value", F.coalesce("value", F.min("value").over(Window.partitionBy(*keys)), F.lit(0.0))), "signal")
-    keyed = lambda df: df.withColumn("grp", F.concat_ws("\n", *keys))
-    levels = N.level_edges(edges.select(*keys, "u", "v"), value.select("grp", "id", "value"))
-    forest = spanning_forest(keyed(levels).select("grp", "u", "v", F.col("level").alias("w")), maximum=True)
+        own = members.select(*KEYS, "id").join(given.select("grp", "id", F.col("value").cast("double").alias("value")), ["grp", "id"], "left")
+        value = materialise(own.withColumn("value", F.coalesce("value", F.min("value").over(Window.partitionBy(*KEYS)), F.lit(0.0))), "signal")
+    levels = N.level_edges(edges.select(*KEYS, "u", "v"), value.select("grp", "id", "value"))
+    forest = spanning_forest(_keyed(levels).select("grp", "u", "v", F.col("level").alias("w")), maximum=True)
     exits, nodes = C.condense(forest.withColumnRenamed("w", "level"), p.branch_size, max(task_edges, p.branch_size))
     picked = C.pick(exits, nodes, p.branch_selection, False, 0.0, p.branch_persistence)
-    names = members.select(*keys).distinct().withColumn("key", F.concat_ws("\n", *keys))
+    names = members.select(*KEYS).distinct().withColumn("key", F.concat_ws("\n", *KEYS))
     counts = picked.groupBy(F.col("grp").alias("key")).agg(F.max("chosen").alias("chosen")).where(F.col("chosen") > (1 if p.label_sides else 2))
     splits = materialise(names.join(counts, "key"), "splits")
-    found = C.flat_labels(keyed(members), exits, picked).withColumnRenamed("grp", "key")
-    found = materialise(found.join(splits, "key").select(*keys, "id", F.col("label").alias("branch"), F.col("strength").alias("bs"), "chosen"), "branches")
+    found = C.flat_labels(_keyed(members), exits, picked).withColumnRenamed("grp", "key")
+    found = found.join(splits, "key").select(*KEYS, "id", F.col("label").alias("branch"), F.col("strength").alias("bs"), "chosen")
+    return _BranchPass(members, edges, exits, nodes, splits, materialise(found, "branches"))
+
+
+def _root_paths(m: DensityModel, b: _BranchPass, p: BranchParams) -> DataFrame:
+    """``(key, id, branch, d_geo)``: path lengths from the root of every branch, the point nearest to its mean by strength."""
+    inner = b.found.where("branch >= 0").withColumnRenamed("bs", "strength").join(m.points, ["grp", "id"])
+    centres = _mean(inner, [*KEYS, "branch"])
+    near = inner.join(centres, [*KEYS, "branch"]).groupBy(*KEYS, "branch").agg(F.min_by("id", F.struct(N.squared(F.col("x"), F.col("centre")), "id")).alias("root"))
+    near = materialise(near, "roots")
+    length = {"distance": F.col("d"), "mreach": F.col("w"), "hops": F.lit(1.0)}[p.edge_length]
+    paths = measures.path_lengths(_keyed(b.edges.join(b.splits, KEYS, "left_semi")).select("grp", "u", "v", length.alias("w")), _keyed(near).select("grp", "root"))
+    return paths.join(_keyed(near).select("grp", "root", "branch"), ["grp", "root"]).select(F.col("grp").alias("key"), "id", "branch", "d_geo")
+
+
+def branches(m: DensityModel, p: BranchParams, task_edges: int = C.TASK_EDGES, given: DataFrame | None = None) -> DataFrame:
+    """RESULT rows of a density model; see :mod:`spurline.plans.clustering`. All clusters go through every step together.
+
+    ``given`` (``grp, id, value``): any signal in place of the eccentricity; points without a value have the least of their cluster.
+    """
+    b = _branch_pass(m, p, task_edges, given)
     loose = F.col("branch") < 0
     if p.central_labels == "geodesic":
-        inner = found.where(~loose).withColumnRenamed("bs", "strength").join(m.points, ["grp", "id"])
-        centres = _mean(inner, [*keys, "branch"])
-        near = inner.join(centres, [*keys, "branch"]).groupBy(*keys, "branch").agg(F.min_by("id", F.struct(N.squared(F.col("x"), F.col("centre")), "id")).alias("root"))
-        near = materialise(near, "roots")
-        length = {"distance": F.col("d"), "mreach": F.col("w"), "hops": F.lit(1.0)}[p.edge_length]
-        paths = measures.path_lengths(keyed(edges.join(splits, keys, "left_semi")).select("grp", "u", "v", length.alias("w")), keyed(near).select("grp", "root"))
-        paths = paths.join(keyed(near).select("grp", "root", "branch"), ["grp", "root"]).groupBy(F.col("grp").alias("key"), "id").agg(F.min_by("branch", F.struct("d_geo", "branch")).alias("nearest"))
-        found = found.withColumn("key", F.concat_ws("\n", *keys)).join(paths, ["key", "id"], "left").withColumn("k", F.when(loose, F.coalesce("nearest", F.lit(0))).otherwise(F.col("branch")))
+        nearest = _root_paths(m, b, p).groupBy("key", "id").agg(F.min_by("branch", F.struct("d_geo", "branch")).alias("nearest"))
+        found = b.found.withColumn("key", F.concat_ws("\n", *KEYS)).join(nearest, ["key", "id"], "left").withColumn("k", F.when(loose, F.coalesce("nearest", F.lit(0))).otherwise(F.col("branch")))
     else:
-        found = found.withColumn("k", F.when(loose, F.col("chosen")).otherwise(F.col("branch")))
+        found = b.found.withColumn("k", F.when(loose, F.col("chosen")).otherwise(F.col("branch")))
     found = found.select("grp", "id", "k", F.when(loose, 0.0).otherwise(F.col("bs")).alias("bs"), loose.alias("loose"))
     rows = m.labels.withColumnRenamed("label", "cluster").join(found, ["grp", "id"], "left")
     joint = F.col("strength") * F.col("bs") if p.combine == "product" else (F.col("strength") + F.col("bs")) / 2
@@ -158,3 +187,28 @@ def branches(m: DensityModel, p: BranchParams, task_edges: int = C.TASK_EDGES, g
     number = rows.where("cluster >= 0").select("grp", "cluster", "branch").distinct().withColumn("label", (F.row_number().over(Window.partitionBy("grp").orderBy("cluster", "branch")) - 1).cast("int"))
     out = rows.join(number, ["grp", "cluster", "branch"], "left")
     return out.select("grp", "id", F.coalesce("label", F.lit(-1)).alias("label"), "strength", "cluster", "cluster_strength", "branch", "branch_strength", "is_center")
+
+
+def memberships(m: DensityModel, p: BranchParams) -> DataFrame:
+    """Softmax memberships of every point in each branch of its cluster, and weighted by its strength; a branch that no path reaches
+    from a point counts nothing there, at an infinite length."""
+    b = _branch_pass(m, p)
+    every = b.found.select(*KEYS, "id").join(b.found.where("branch >= 0").select(*KEYS, "branch").distinct(), KEYS).withColumn("key", F.concat_ws("\n", *KEYS))
+    paths = every.join(_root_paths(m, b, p), ["key", "id", "branch"], "left").withColumn("d_geo", F.coalesce("d_geo", F.lit(float("inf"))))
+    soft = softmax(paths.select(F.col("key").alias("grp"), F.col("branch").alias("root"), "id", "d_geo"), p.temperature)
+    rows = paths.join(soft.select(F.col("grp").alias("key"), "id", F.col("root").alias("branch"), "p"), ["key", "id", "branch"]).join(b.members, [*KEYS, "id"])
+    return rows.select("grp", "id", "cluster", "branch", "d_geo", "p", (F.col("p") * F.col("strength")).alias("weighted"))
+
+
+def condensed(m: DensityModel, p: BranchParams, which: str = "cluster") -> DataFrame:
+    """Nodes of the cluster tree, or of all branch trees, as rows of :func:`spurline.plans.clustering.condensed`."""
+    from spurline.plans.clustering import TREES, tree_rows
+
+    if which == "cluster":
+        how, allow, eps = p.cluster_selection, p.allow_single_cluster, p.cluster_epsilon
+        return C.tree_table(m.exits, m.nodes, lambda t: tree_rows(t, K.select(t, how, allow, eps), -1), TREES)
+    b = _branch_pass(m, p)
+    how = p.branch_selection
+    rows = C.tree_table(b.exits, b.nodes, lambda t: tree_rows(t, K.select(t, how, False), -1), TREES, p.branch_persistence).drop("cluster").withColumnRenamed("grp", "key")
+    names = b.members.select(*KEYS).distinct().withColumn("key", F.concat_ws("\n", *KEYS))
+    return rows.join(names, "key").select(*[f.split()[0] for f in TREES.split(", ")])

@@ -224,8 +224,8 @@ def horseshoe_points(spark, d):
 @query("SELECT doc_id, CAST(len(list_distinct(list_transform(range(1, length(t) - 1), lambda i: substr(t, i, 3)))) AS BIGINT) AS trigrams FROM (SELECT doc_id, lower(text) AS t FROM documents) WHERE length(t) > 2")
 def text_trigrams(spark, d):
     """Distinct character trigrams of each whole text."""
-    t = table(spark, d, "documents").select("doc_id", F.lower("text").alias("t")).where("length(t) > 2")
-    return t.select("doc_id", F.expr("size(array_distinct(transform(sequence(1, length(t) - 2), i -> substr(t, i, 3))))").cast("long").alias("trigrams"))
+    t = table(spark, d, "documents").select("doc_id", W.trigrams(F.lower("text")).alias("grams")).where("grams is not null")
+    return t.select("doc_id", F.size(F.array_distinct("grams")).cast("long").alias("trigrams"))
 
 
 @query()

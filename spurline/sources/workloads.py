@@ -229,7 +229,15 @@ def embedding_points(embeddings: DataFrame) -> DataFrame:
     return embeddings.select(F.lit("atlas").alias("grp"), F.col("vec_id").alias("id"), x.alias("x")).where(sound)
 
 
-def text_points(documents: DataFrame, dims: int = 8, buckets: int = 1 << 12) -> DataFrame:
+def trigrams(text: F.Column) -> F.Column:
+    """All character trigrams of a text in order, in one pass over it; none of texts of under three characters."""
+    chars = F.filter(F.split(text, ""), lambda c: c != "")
+    join = lambda a, b: F.concat(a, b)
+    three = lambda c: F.zip_with(F.zip_with(c, F.slice(c, 2, F.size(c)), join), F.slice(c, 3, F.size(c)), join)
+    return F.when(F.size(chars) > 2, F.filter(three(chars), lambda g: g.isNotNull()))
+
+
+def text_points(documents: DataFrame, dims: int = 8, buckets: int = 512) -> DataFrame:
     """``(grp, id, x)``: each distinct text (its least id) by hashed character trigrams, weighted by rarity, of length one, on their
     strongest principal components. Texts of under three characters have no point."""
     from pyspark.ml import Pipeline
@@ -237,7 +245,7 @@ def text_points(documents: DataFrame, dims: int = 8, buckets: int = 1 << 12) ->
     from pyspark.ml.functions import vector_to_array
 
     t = documents.where("length(text) > 2").groupBy("text").agg(F.min("doc_id").alias("id"))
-    t = t.select("id", F.expr("transform(sequence(1, length(text) - 2), i -> lower(substr(text, i, 3)))").alias("grams"))
+    t = t.select("id", trigrams(F.lower("text")).alias("grams"))
     steps = [HashingTF(numFeatures=buckets, inputCol="grams", outputCol="tf"), IDF(inputCol="tf", outputCol="w"), Normalizer(inputCol="w", outputCol="unit"), PCA(k=dims, inputCol="unit", outputCol="low")]
     found = Pipeline(stages=steps).fit(t).transform(t)
     return found.select(F.lit("texts").alias("grp"), "id", vector_to_array("low").alias("x"))

@@ -120,6 +120,17 @@ def test_branches_equal_the_kernel(spark, p):
             assert a == (pytest.approx(b, abs=1e-9) if isinstance(b, float) else b), (key, r, got[key])
 
 
+def test_memberships_and_trees_equal_the_kernel(spark):
+    x = W.star_points(table(spark, "/root/testdata/sf0.001", "orders")).where("sample < 2").select("grp", "id", "x")
+    pick = lambda df: {(r.grp, r.id, r.cluster, r.branch): (r.d_geo, r.p, r.weighted) for r in df.collect()}
+    small, got = pick(clustering.memberships(x, BASE)), pick(clustering.memberships(x, BASE, limit=0))
+    assert small.keys() == got.keys() and len(small) > 600
+    assert all(got[k] == pytest.approx(v, abs=1e-9) for k, v in small.items())
+    for which in ("cluster", "branch"):
+        rows = lambda df: sorted((r.grp, r.cluster, round(r.birth, 9), round(r.top, 9), r.size, round(r.stability, 6), r.selected, r.x1 - r.x0 >= r.size) for r in df.collect())
+        assert rows(clustering.condensed(x, BASE, which, limit=0)) == rows(clustering.condensed(x, BASE, which))
+
+
 def test_signals_of_any_kind(spark):
     """A column as the signal: the geometric eccentricity given as one finds what the method finds; turned, its valleys."""
     x = W.star_points(table(spark, "/root/testdata/sf0.001", "orders"), n_r=0.0).where("sample = 0")
