@@ -66,17 +66,32 @@ def test_edges_within_are_of_a_whole_tree(spark, monkeypatch):
     assert [edges["a", s] for s in squares[:2]] == [sum(r.w * r.w <= s for r in rows) for s in squares[:2]] and edges["b", 1] == 0
 
 
-def test_region_forests_hold_the_tree():
+@pytest.mark.parametrize("some", [4_096, 20])
+def test_region_forests_hold_the_tree(monkeypatch, some):
     """Any points and lengths: the forests of overlapping regions together, finished, have the weights of the kernel's tree."""
     from spurline.operators import grown
     from spurline.operators import kernels as K
+    from spurline.operators.components import least_labels
+    from spurline.operators.forest import kept_edges
     from spurline.params import BranchParams
 
+    monkeypatch.setattr(grown, "SOME", some)  # few: points far from all other components are left out at the end
     rng = np.random.default_rng(5)
     for n, k, most in ((6, 2, 1.0), (700, 4, 0.2), (900, 10, 0.05), (400, 5, 1e-9), (800, 3, 9.0)):
         x = np.round(rng.normal(size=(n, 2)), 2 if n % 3 else 9)
-        parts = [grown.region_forest(x, k, (x[:, 0] >= a - most / 2) & (x[:, 0] <= b + most / 2), most) for a, b in ((-np.inf, 0), (0, np.inf))]
-        core = np.minimum(parts[0][3], parts[1][3])
-        u, v, w = grown.finished_tree(x, core, k, *(np.concatenate([p[i] for p in parts]) for i in range(3)))
+        sides = [(x[:, 0] >= a - most / 2) & (x[:, 0] <= b + most / 2) for a, b in ((-np.inf, 0), (0, np.inf))]
+        parts, edges = [grown.region_forest(x, k, near, most) for near in sides], []
+        for u, v, w, _ in parts:
+            stays, name = grown.settled(n, u, v, w, sides[0] & sides[1])
+            edges.append(np.stack([u, v, w, name[u], name[v], stays], 1))
+            assert (name[u[stays]] == name[v[stays]]).all()
+        edges = np.concatenate(edges)
+        sure, rest = edges[edges[:, 5] == 1], edges[edges[:, 5] == 0]
+        rest = rest[np.argsort(rest[:, 2], kind="stable")]
+        rest = rest[kept_edges(n, rest[:, 3].astype(int), rest[:, 4].astype(int))]
+        u, v, w = np.concatenate([sure, rest])[:, :3].T
+        u, v = u.astype(int), v.astype(int)
+        more = grown.joined_up(x, np.minimum(parts[0][3], parts[1][3]), k, least_labels(n, u, v))
+        u, v, w = (np.concatenate(c) for c in zip((u, v, w), more, strict=True))
         want = K.metric_parts(x, BranchParams(min_samples=k))[3][:, 2]
-        assert np.array_equal(np.sort(w), np.sort(want)) and len(grown.kept_edges(n, u, v)) == n - 1
+        assert np.array_equal(np.sort(w), np.sort(want)) and len(kept_edges(n, u, v)) == n - 1
